@@ -83,7 +83,7 @@ class LineRuns:
     def add(self, keys: DataFrame) -> None:
         """Adds a batch: keys of documents that no earlier batch held."""
         counted = (
-            keys.groupBy("key", "doc").agg()
+            keys.select("key", "doc").distinct()
             .groupBy("key").agg(F.count("*").alias("n_docs"), F.max("doc").alias("keeper"))
         )
         self._write(counted, 0)
@@ -131,7 +131,7 @@ def dedup_lines(
     keys = line_keys(docs, id_col, text_col, min_chars)
     path = common.work_path(spark, "line-keys")
     keys.withColumn("batch", F.pmod(F.xxhash64("doc"), F.lit(n_batches)).cast("int")).write.partitionBy("batch").parquet(path)
-    keys = spark.read.schema(keys.schema.add("batch", "int")).parquet(path)
+    keys = spark.read.schema("doc bigint, text_id bigint, pos int, key binary, batch int").parquet(path)
     runs = LineRuns(spark)
     for batch in range(n_batches):
         runs.add(keys.where(F.col("batch") == batch))
