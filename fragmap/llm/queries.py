@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from fragmap.llm import licenses, line_dedup, sharding, simhash, token_counts, winnow
+from fragmap.llm import licenses, line_dedup, sharding, simhash, token_counts, toxicity, winnow
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op3_token_counts": token_counts.op3_token_counts,
+    "op5_toxicity": toxicity.op5_toxicity,
     "op6_sharding": sharding.op6_sharding,
     "op8_simhash": simhash.op8_simhash,
     "op9_document_fingerprints": winnow.op9_document_fingerprints,
