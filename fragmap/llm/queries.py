@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from fragmap.llm import licenses, line_dedup, sharding, simhash, token_counts, toxicity, winnow
+from fragmap.llm import decontaminate, licenses, line_dedup, sharding, simhash, token_counts, toxicity, winnow
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
     "op3_token_counts": token_counts.op3_token_counts,
     "op5_toxicity": toxicity.op5_toxicity,
     "op6_sharding": sharding.op6_sharding,
+    "op7_decontamination": decontaminate.op7_decontamination,
     "op8_simhash": simhash.op8_simhash,
     "op9_document_fingerprints": winnow.op9_document_fingerprints,
     "op10_license_scan": licenses.op10_license_scan,
