@@ -4,8 +4,9 @@ Test items form an inverted index; every passage of every training document is a
 query. Scores are BM25 sums divided by the item's score against itself, so one
 threshold serves items of all lengths: 1 means that all of an item's words occur.
 A passage whose words' largest possible scores sum to less than the threshold can
-have no pivot and is left; the others run block-max WAND, which skips blocks of items
-by their block maxima and scores exactly what remains. What is retrieved must then
+have no pivot and is left. Block maxima of all blocks are then summed at once; only
+blocks that can reach the threshold are entered, where cursors move from pivot to pivot
+and score exactly what remains. What is retrieved must then
 share word shingles with the item's question and with its answer.
 
 Passages are runs of twice the longest item, starting every such length, so each item
@@ -37,7 +38,7 @@ SHINGLE = 5
 QUESTION_OVERLAP = 0.5
 ANSWER_OVERLAP = 0.5
 K1, B = 1.2, 0.75
-BLOCK = 8
+BLOCK = 4
 INDEX_CHARS = 16_000_000
 _WORD = re.compile(r"[^\W_]+")
 
@@ -86,58 +87,34 @@ class ItemIndex:
             for w, s in score.items():
                 postings[self.terms[w]].append((item, s / total))
         self.block = block
-        self.postings = [postings[t] for t in range(len(self.terms))]
-        self.most = np.array([max(s for _, s in p) for p in self.postings] + [0.0])  # the last is for unknown words
-        self.block_most = []
-        for p in self.postings:
-            best: dict[int, float] = {}
-            for item, s in p:
-                best[item // block] = max(best.get(item // block, 0.0), s)
-            self.block_most.append(best)
-
-    def retrieve(self, terms: list[int], threshold: float) -> list[tuple[int, float]]:
-        """All (item, score) at or above ``threshold`` for a set of terms, by block-max WAND."""
-        slack = threshold - 1e-9
-        cursors = [[self.postings[t][0][0], t, 0] for t in terms]
+        #: by term: block -> postings of that block
+        self.postings = [defaultdict(list) for _ in self.terms]
+        for t in range(len(self.terms)):
+            for item, s in postings[t]:
+                self.postings[t][item // block].append((item, s))
+        self.most = np.array([max(s for _, s in postings[t]) for t in range(len(self.terms))] + [0.0])  # the last is for unknown words
+        sizes = [len(blocks) for blocks in self.postings]
+        self.block_from = np.concatenate([[0], np.cumsum(sizes, dtype=np.int64)]).astype(np.int64)
+        self.block_at = np.array([k for blocks in self.postings for k in blocks], np.int64)
+        self.block_value = np.array([max(s for _, s in p) for blocks in self.postings for p in blocks.values()])
+
+    def reachable(self, terms: np.ndarray, threshold: float) -> np.ndarray:
+        """Blocks in which the block maxima of ``terms`` reach the threshold."""
+        first, size = self.block_from[terms], self.block_from[terms + 1] - self.block_from[terms]
+        before = np.cumsum(size) - size
+        at = np.arange(int(size.sum())) + np.repeat(first - before, size)
+        return np.flatnonzero(np.bincount(self.block_at[at], self.block_value[at]) >= threshold - 1e-9)
+
+    def retrieve(self, terms: np.ndarray, threshold: float) -> list[tuple[int, float]]:
+        """All (item, score) at or above ``threshold`` for a set of terms."""
+        if self.most[terms].sum() < threshold - 1e-9:
+            return []
         found = []
-        while cursors:
-            cursors.sort()
-            bound, pivot = 0.0, None
-            for item, t, _ in cursors:
-                bound += self.most[t]
-                if bound >= slack:
-                    pivot = item
-                    break
-            if pivot is None:
-                break
-            block = pivot // self.block
-            upto = [c for c in cursors if c[0] <= pivot]
-            if sum(self.block_most[c[1]].get(block, 0.0) for c in upto) >= slack:
-                if cursors[0][0] == pivot:
-                    score = sum(self.postings[t][at][1] for _, t, at in upto)
-                    if score >= slack:
-                        found.append((pivot, score))
-                    target = pivot + 1
-                else:
-                    target = pivot
-            else:  # no item of the block can reach it, up to where another list begins
-                later = [c[0] for c in cursors if c[0] > pivot]
-                target = min([(block + 1) * self.block, *later])
-            cursors = [c for c in (self._seek(c, target) if c[0] < target else c for c in cursors) if c is not None]
+        for block in self.reachable(terms, threshold).tolist():
+            lists = [self.postings[t][block] for t in terms.tolist() if block in self.postings[t]]
+            found += _wand(lists, threshold - 1e-9)
         return found
 
-    def _seek(self, cursor: list, target: int) -> list | None:
-        _, t, at = cursor
-        p = self.postings[t]
-        low, high = at, len(p)
-        while low < high:
-            mid = (low + high) // 2
-            if p[mid][0] < target:
-                low = mid + 1
-            else:
-                high = mid
-        return [p[low][0], t, low] if low < len(p) else None
-
     def leaks(self, text: str | None, threshold: float = THRESHOLD) -> list[tuple[object, float, float, float]]:
         """(item id, score, question overlap, answer overlap) of verified items, best passage of each."""
         words = words_of(text)
@@ -156,9 +133,7 @@ class ItemIndex:
                 continue
             terms = np.unique(ids[a:b])
             terms = terms[terms < unknown]
-            if self.most[terms].sum() < threshold - 1e-9:
-                continue
-            for item, score in self.retrieve(terms.tolist(), threshold):
+            for item, score in self.retrieve(terms, threshold):
                 here = words[max(0, a - step) : b + step]
                 q, r = (len(s & shingles(here, n)) / len(s) for s, n in self.parts[item])
                 if q >= QUESTION_OVERLAP and r >= ANSWER_OVERLAP:
@@ -166,6 +141,35 @@ class ItemIndex:
         return [(self.ids[i], *v) for i, v in sorted(best.items())]
 
 
+def _wand(lists: list[list[tuple[int, float]]], threshold: float) -> list[tuple[int, float]]:
+    """Items of one block whose scores reach the threshold; cursors move from pivot to pivot."""
+    cursors = [[p[0][0], 0, max(s for _, s in p), p] for p in lists]
+    found = []
+    while cursors:
+        cursors.sort(key=lambda c: c[0])
+        bound, pivot = 0.0, None
+        for item, _, most, _ in cursors:
+            bound += most
+            if bound >= threshold:
+                pivot = item
+                break
+        if pivot is None:
+            break
+        if cursors[0][0] == pivot:
+            score = sum(p[at][1] for item, at, _, p in cursors if item == pivot)
+            if score >= threshold:
+                found.append((pivot, score))
+            pivot += 1
+        moved = []
+        for item, at, most, p in cursors:
+            while at < len(p) and p[at][0] < pivot:
+                at += 1
+            if at < len(p):
+                moved.append([p[at][0], at, most, p])
+        cursors = moved
+    return found
+
+
 def item_indexes(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", index_chars: int = INDEX_CHARS) -> list[ItemIndex]:
     """Indexes over parts of the items, each of about ``index_chars`` characters at most."""
     items = benchmark.select(F.col(id_col).alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
