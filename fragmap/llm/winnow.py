@@ -23,7 +23,7 @@ from fragmap.llm import common
 
 UNIT_CHARS = 12
 GRAM = 3
-WINDOW = 6
+WINDOW = 8
 ID_RANGES = 256
 _LOWEST = -(2**63)
 _LOW = 2**32 - 1
@@ -104,23 +104,27 @@ def edited_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     base = docs.select(
-        F.col(id_col).alias("doc_id"), F.coalesce(F.col(id_col).cast("bigint"), F.lit(_LOWEST)).alias("doc"),
-        F.xxhash64(text).alias("text_id"), text.alias("text"),
+        F.coalesce(F.col(id_col).cast("bigint"), F.lit(_LOWEST)).alias("doc"), F.xxhash64(text).alias("text_id"), text.alias("text")
     )
-    order = successors(base.select("doc", "text_id", F.length("text").cast("bigint").alias("n")))
-    order = common.checkpoint(order)
-    wanted = order.groupBy(F.col("next_doc").alias("doc"), F.col("next_text").alias("text_id")).agg(
-        F.first("doc").alias("for_doc"), F.first("text_id").alias("for_text"), F.first("n").alias("for_n")
+    order = common.checkpoint(successors(base.select("doc", "text_id", F.length("text").cast("bigint").alias("n"))))
+    wanted = order.select(
+        F.col("next_doc").alias("doc"), F.col("next_text").alias("text_id"),
+        F.col("doc").alias("for_doc"), F.col("text_id").alias("for_text"), F.col("n").alias("for_n"),
     )
-    keyed = base.withColumn("sel", selected(F.col("text"))).join(wanted.hint("shuffle_hash"), ["doc", "text_id"])
+    # both joins read base by the same three columns, so its exchange is made once
     given = (
-        keyed.groupBy(F.col("for_doc").alias("doc"), F.col("for_text").alias("text_id"))
-        .agg(F.first(F.expr("left(text, cast(for_n div 4 as int))")).alias("prefix"), F.first(hashes(F.col("sel"))).alias("next_hashes"))
+        base.join(wanted.hint("shuffle_hash"), ["doc", "text_id"])
+        .select(
+            F.col("for_doc").alias("doc"), F.col("for_text").alias("text_id"),
+            F.expr("left(text, cast(for_n div 4 as int))").alias("prefix"), hashes(selected(F.col("text"))).alias("next_hashes"),
+        )
+        .groupBy("doc", "text_id").agg(F.first("prefix").alias("prefix"), F.first("next_hashes").alias("next_hashes"))
     )
-    joined = keyed.join(given.hint("shuffle_hash"), ["doc", "text_id"])
+    joined = base.join(given.hint("shuffle_hash"), ["doc", "text_id"])
     n = F.length("text").cast("bigint")
     edited = F.concat(F.left("text", (n - F.floor(n / 4)).cast("int")), F.col("prefix"))
-    rows = joined.select("doc_id", n.alias("n_chars"), "sel", "next_hashes", edited.alias("edited"))
+    doc_id = F.nullif(F.col("doc"), F.lit(_LOWEST)).alias("doc_id")
+    rows = joined.select(doc_id, n.alias("n_chars"), "next_hashes", edited.alias("edited"), selected(F.col("text")).alias("sel"))
     rows = rows.withColumn("edited_sel", selected(F.col("edited")))
     return rows.select(
         "doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"),
