@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from fragmap.llm import decontaminate, licenses, line_dedup, lm_score, sharding, simhash, token_counts, toxicity, winnow
+from fragmap.llm import decontaminate, licenses, line_dedup, lm_score, pieces, sharding, simhash, token_counts, toxicity, winnow
 
 QUERIES = {
     "op1_line_dedup": line_dedup.op1_line_dedup,
+    "op2_pieces": pieces.op2_pieces,
     "op3_token_counts": token_counts.op3_token_counts,
     "op4_lm_score": lm_score.op4_lm_score,
     "op5_toxicity": toxicity.op5_toxicity,
