@@ -75,6 +75,32 @@ class GrayIndex:
         return label
 
 
+    def forest(self, limit: int) -> tuple[np.ndarray, np.ndarray]:
+        """Positions (a, b) of links that join all components, the nearest first, ties by position."""
+        found = [np.stack(p) for p in self.search(self.codes, limit, np.arange(len(self.codes)))]
+        a, b = np.concatenate(found, axis=1) if found else np.empty((2, 0), np.int64)
+        if not len(a):
+            return a, b
+        order = np.lexsort((b, a, np.bitwise_count(self.codes[a] ^ self.codes[b])))
+        a, b = a[order], b[order]
+        label, kept = np.arange(len(self.codes)), []
+        place = np.arange(len(a))
+        while True:
+            apart = label[a[place]] != label[b[place]]
+            place = place[apart]
+            if not len(place):
+                break
+            x, y = label[a[place]], label[b[place]]
+            best = np.full(len(label), len(a))
+            np.minimum.at(best, x, place)  # each component takes its nearest way out
+            np.minimum.at(best, y, place)
+            own = np.unique(best[best < len(a)])
+            kept.append(own)
+            merge(label, a[own], b[own])
+        own = np.concatenate(kept) if kept else np.empty(0, np.int64)
+        return a[own], b[own]
+
+
 def merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
     """Joins the labels of linked positions in place; every label becomes the least of its set."""
     while len(a):

@@ -33,36 +33,56 @@ SHINGLE = 4
 MAX_DIFF = 4
 SEED = 42
 GROUP = 1024
+SKETCH = 256
+SIMILARITY = 0.8
 
 
-def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
-    """Unsigned 64-bit SimHash; bytes.lower and bytes.split follow ASCII alone, as asked."""
+def shingle_hashes(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """Big-endian XXH64 digests of all shingles; bytes.lower and bytes.split follow ASCII alone, as asked."""
     import xxhash
 
     words = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not words:
-        return 0
+        return np.empty((0, 8), np.uint8)
     data = b" ".join(words)
     ends = np.cumsum([len(w) + 1 for w in words]) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     size = min(shingle, len(words))
     digest = xxhash.xxh64_digest
     hashes = b"".join([digest(data[a:b], SEED) for a, b in zip(starts[: len(words) - size + 1].tolist(), ends[size - 1 :].tolist())])
-    bits = np.unpackbits(np.frombuffer(hashes, np.uint8).reshape(-1, 8), axis=1)
-    majority = bits.sum(axis=0, dtype=np.int64) * 2 > len(bits)
-    return int.from_bytes(np.packbits(majority).tobytes(), "big")
+    return np.frombuffer(hashes, np.uint8).reshape(-1, 8)
+
+
+def majority(hashes: np.ndarray) -> int:
+    """Unsigned 64-bit SimHash: the bits set in over half of the hashes."""
+    ones = np.unpackbits(hashes, axis=1).sum(axis=0, dtype=np.int64) if len(hashes) else np.zeros(64, np.int64)
+    return int.from_bytes(np.packbits(ones * 2 > len(hashes)).tobytes(), "big")
+
+
+def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
+    return majority(shingle_hashes(text, shingle))
 
 
-def fingerprints(docs: DataFrame, keep: list[str], text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """``keep`` columns and ``fp`` (bigint with the bits of the fingerprint)."""
+def fingerprints(docs: DataFrame, keep: list[str], text_col: str = "text", shingle: int = SHINGLE, sketch: int = 0) -> DataFrame:
+    """``keep`` columns, ``fp`` (bigint with the bits of the fingerprint) and, if asked, the ``sketch`` least distinct shingle hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            codes = np.array([fingerprint(t.as_py(), shingle) for t in batch.column("_fp_text")], np.uint64).view(np.int64)
-            yield pa.record_batch([*[batch.column(c) for c in keep], pa.array(codes)], [*keep, "fp"])
+            codes, least = [], []
+            for t in batch.column("_fp_text"):
+                hashes = shingle_hashes(t.as_py(), shingle)
+                codes.append(majority(hashes))
+                if sketch:
+                    short = np.ascontiguousarray(hashes[:, :4]).view(">u4").ravel().astype(np.uint32) >> np.uint32(1)
+                    least.append(np.unique(short)[:sketch].astype(np.int32))
+            cols = [*[batch.column(c) for c in keep], pa.array(np.array(codes, np.uint64).view(np.int64))]
+            if sketch:
+                cols.append(pa.array(least, pa.list_(pa.int32())))
+            yield pa.record_batch(cols, [*keep, "fp", *["sketch"] * bool(sketch)])
 
     kinds = [f"`{n}` {k}" for n, k in docs.select(*keep).dtypes]
-    return docs.select(*keep, F.col(text_col).alias("_fp_text")).mapInArrow(run, ", ".join([*kinds, "fp bigint"]))
+    schema = ", ".join([*kinds, "fp bigint", *["sketch array<int>"] * bool(sketch)])
+    return docs.select(*keep, F.col(text_col).alias("_fp_text")).mapInArrow(run, schema)
 
 
 def piece_keys(n: int, max_diff: int = MAX_DIFF, group: int = GROUP) -> list[int]:
@@ -72,7 +92,7 @@ def piece_keys(n: int, max_diff: int = MAX_DIFF, group: int = GROUP) -> list[int
         cuts = np.linspace(0, 64, pieces + 1).round().astype(int)
         bits = [((1 << int(b)) - 1) ^ ((1 << int(a)) - 1) for a, b in zip(cuts[:-1], cuts[1:])]
         masks = [sum(c) for c in combinations(bits, extra)]
-        if n <= 4 * group * (1 << min(m.bit_count() for m in masks)):
+        if n <= group // 4 * (1 << min(m.bit_count() for m in masks)):
             break
     return masks
 
@@ -81,8 +101,11 @@ def _signed(mask: int) -> int:
     return mask - (1 << 64) if mask >= 1 << 63 else mask
 
 
-def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int = GROUP) -> DataFrame:
-    """(u, v) edges over distinct ``fp``, at most one per fingerprint, key and block pair, with all components of the links."""
+def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int = GROUP, forest: bool = False) -> DataFrame:
+    """(u, v) edges over distinct ``fp``, at most one per fingerprint, key and block pair, with all components of the links.
+
+    With ``forest`` each edge is itself a link, the nearest that join the components of a task, so that it can be verified.
+    """
     masks = piece_keys(n, max_diff, group)
     keys = F.explode(F.array(*[F.struct(F.lit(i).alias("k"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("part")) for i, m in enumerate(masks)]))
     keyed = codes.select("fp", keys.alias("key")).select("fp", "key.k", "key.part")
@@ -108,14 +131,14 @@ def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int =
             cut = int(np.searchsorted(task, task[-1], "left")) if len(task) else 0
             tail_task, tail_fp = task[cut:], fp[cut:]
             if cut:
-                yield _edges(task[:cut], fp[:cut], max_diff)
+                yield _edges(task[:cut], fp[:cut], max_diff, forest)
         if len(tail_task):
-            yield _edges(tail_task, tail_fp, max_diff)
+            yield _edges(tail_task, tail_fp, max_diff, forest)
 
     return tasks.repartition(parts, "task").sortWithinPartitions("task").mapInArrow(run, "u bigint, v bigint")
 
 
-def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int) -> pa.RecordBatch:
+def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int, forest: bool) -> pa.RecordBatch:
     """Links of each run of equal ``task``: from every code to the first of its local component.
 
     Two keys that hash to one task only add rows to an exact search.
@@ -131,11 +154,14 @@ def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int) -> pa.RecordBatch:
         vs.append(b[near])
     for i in np.flatnonzero(sizes > 2):
         index = GrayIndex(fp[bounds[i] : bounds[i + 1]].view(np.uint64))
-        label = index.components(max_diff)
-        own = np.flatnonzero(label != np.arange(len(label)))
-        if len(own):
-            us.append(index.codes[own].view(np.int64))
-            vs.append(index.codes[label[own]].view(np.int64))
+        if forest:
+            own, to = index.forest(max_diff)
+        else:
+            label = index.components(max_diff)
+            own = np.flatnonzero(label != np.arange(len(label)))
+            to = label[own]
+        us.append(index.codes[own].view(np.int64))
+        vs.append(index.codes[to].view(np.int64))
     join = lambda xs: pa.array(np.concatenate(xs) if xs else np.empty(0, np.int64))
     return pa.record_batch([join(us), join(vs)], ["u", "v"])
 
@@ -155,6 +181,48 @@ def near_duplicate_groups(
     return rows.join(known, "fp").select("doc_id", "fp", "component_id")
 
 
+def drop_near_duplicates(
+    docs: DataFrame, shingle: int, max_diff: int, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """The rows of ``docs`` that stay: of each group the one of least id.
+
+    Candidates are the nearest links among fingerprints within ``max_diff`` bits; each is
+    verified by the Jaccard of the shingle sets, taken from the ``SKETCH`` least hashes of
+    both (exact up to that many shingles). Texts without a word are copies of each other;
+    of repeated rows of one id and text one stays.
+    """
+    names = docs.columns
+    keyed = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(-(2**63))).alias("doc"), F.xxhash64(text_col).alias("tid"), F.col(text_col).alias("text"))
+    rows = common.stored(fingerprints(keyed, ["doc", "tid"], "text", shingle, SKETCH), "simhash-rows")
+    nodes = common.checkpoint(
+        rows.groupBy("tid").agg(F.min("doc").alias("first_doc"), F.first("fp").alias("fp"), F.count("*").alias("n"), F.count_distinct("doc").alias("ids"))
+    )
+    codes = common.checkpoint(nodes.groupBy("fp").agg(F.min("tid").alias("rep")))
+    edges = link_edges(codes.select("fp"), codes.count(), max_diff, forest=True).distinct()
+    left, right = codes.select(F.col("fp").alias("u"), F.col("rep").alias("a")), codes.select(F.col("fp").alias("v"), F.col("rep").alias("b"))
+    pairs = edges.join(left, "u").join(right, "v").select("a", "b")
+    same = nodes.join(codes, "fp").where("tid <> rep").select(F.col("tid").alias("a"), F.col("rep").alias("b"))
+    pairs = common.checkpoint(pairs.unionByName(same))
+    linked = pairs.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
+    sketches = rows.join(linked.hint("shuffle_hash"), ["tid", "doc"]).groupBy("tid").agg(F.first("sketch").alias("sketch"))
+    sketches = common.stored(sketches, "simhash-sketches")
+    least = F.slice(F.array_sort(F.array_union("x", "y")), 1, SKETCH)
+    share = F.size(F.array_intersect(least, F.array_intersect("x", "y"))) / F.greatest(F.size(least), F.lit(1))
+    verified = (
+        pairs.join(sketches.select(F.col("tid").alias("a"), F.col("sketch").alias("x")), "a")
+        .join(sketches.select(F.col("tid").alias("b"), F.col("sketch").alias("y")), "b")
+        .where((share >= similarity) | (F.size("x") + F.size("y") == 0)).select("a", "b")
+    )
+    roots = connected_components(verified, "a", "b")
+    named = nodes.join(roots, nodes["tid"] == roots["node"], "left").select("tid", "first_doc", F.coalesce("root", "tid").alias("root"))
+    keeper = named.groupBy("root").agg(F.min(F.struct("first_doc", "tid")).alias("k")).select(F.col("k.first_doc").alias("_sim_doc"), F.col("k.tid").alias("_sim_tid"))
+    own = (F.coalesce(docs[id_col].cast("bigint"), F.lit(-(2**63))) == keeper["_sim_doc"]) & (F.xxhash64(docs[text_col]) == keeper["_sim_tid"])
+    kept = docs.join(keeper.hint("shuffle_hash"), own)
+    if nodes.where("n > ids").limit(1).count():
+        kept = kept.dropDuplicates(["_sim_doc", "_sim_tid"])
+    return kept.select(*[F.col(f"`{c}`") for c in names])
+
+
 def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicate_groups(common.table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
