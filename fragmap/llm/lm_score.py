@@ -7,9 +7,9 @@ share; ``MAX_WINDOWS`` bounds it: the depth is the largest up to ``DEPTH`` whose
 fits, and counts of a smaller depth are exact sums of those of a larger one, so no
 text is left out at any size.
 
-The base needs a count for every distinct word. Texts are dealt to blocks of about
-``BLOCK_BYTES``; a block's distinct words cross the network, are counted, and come back
-as the block's own dictionary beside its texts.
+The base needs a count for every distinct word. Texts are read in blocks of about
+``BLOCK_BYTES``; a block's distinct words cross the network, are counted, and the counts
+come back to what the block keeps: which of its documents holds which word how often.
 
 Defined cases: a null text is empty and consists of its end; a null id is in the
 training part; repeated rows count and are scored each time; without training rows the
@@ -19,7 +19,7 @@ trees are empty and every bit has chance 1/2; an empty table gives an empty resu
 from __future__ import annotations
 
 import math
-from collections import Counter
+import pickle
 from collections.abc import Iterator
 
 import numpy as np
@@ -34,6 +34,7 @@ from fragmap.llm.context_tree import BITS, ContextTree, WindowScores, counted, w
 DEPTH = 5
 MAX_WINDOWS = 6_000_000
 BLOCK_BYTES = 8 << 20
+BLOCK_ROWS = 60_000
 CHUNK_BYTES = 4 << 20
 HOLD = 4_000_000
 FOLDS = 5
@@ -107,69 +108,96 @@ def _words(text: bytes) -> list[bytes]:
     return text.lower().split()
 
 
-def block_words(rows: DataFrame) -> DataFrame:
-    """(block, word, n): each block's distinct words and the end (no bytes), n in its training rows."""
+def _block_rows(block: int, docs: list[tuple], model: WindowScores) -> tuple[list, bytes]:
+    """A block's word rows (block, i, word, n) and its payload: per document the id, fold, tokens and tree
+    score, and which words it holds how often, in order of word."""
+    number: dict[bytes, int] = {b"": 0}
+    ids, sizes = [], []
+    for _, text, _ in docs:
+        tokens = _words(text)
+        ids += [number.setdefault(w, len(number)) for w in tokens]
+        ids.append(0)
+        sizes.append(len(tokens) + 1)
+    sizes = np.array(sizes, np.int64)
+    doc = np.repeat(np.arange(len(docs)), sizes)
+    pairs, n = counted((np.array(ids, np.uint64) << np.uint64(32)) | doc.astype(np.uint64))
+    word, doc = (pairs >> np.uint64(32)).astype(np.int64), (pairs & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    train = np.array([not out for *_, out in docs], bool)
+    in_train = np.bincount(word, np.where(train[doc], n, 0), len(number)).astype(np.int64)
+    keys, starts = windows([t for _, t, _ in docs], model.tree.depth)
+    score = np.add.reduceat(model.log10(keys), starts[:-1])
+    payload = pickle.dumps((
+        [d for d, *_ in docs], np.packbits(~train), sizes.astype(np.int32), score, np.bincount(word, minlength=len(number)).astype(np.int32),
+        doc.astype(np.uint16), n.astype(np.uint16) if n.max() < 65536 else n.astype(np.int32),
+    ), protocol=5)
+    return list(zip([block] * len(number), range(len(number)), number, in_train.tolist())), payload
+
+
+def block_rows(docs: DataFrame, model: WindowScores) -> DataFrame:
+    """(block, i, word, n, payload): a row per block and distinct word (the end is the word of no bytes), and one with the payload.
+
+    Blocks are runs of rows of a partition, numbered by partition and place, so a task that is run again makes the same ones.
+    """
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most MAX_WINDOWS windows and their nodes
 
-    def run(part: pa.Table) -> pa.Table:
-        train, seen = Counter(), set()
-        for text, out in zip(_bytes(part["text"]), part["held_out"].to_pylist()):
-            if out:
-                seen.update(_words(text))
-            else:
-                train.update(_words(text))
-        seen.difference_update(train)
-        train[b""] = part["held_out"].to_pylist().count(False)
-        words = [*train, *seen]
-        counts = [*train.values(), *[0] * len(seen)]
-        block = part["block"][0].as_py()
-        return pa.table({"block": pa.array([block] * len(words), pa.int32()), "word": pa.array(words, pa.binary()), "n": pa.array(counts, pa.int64())})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from pyspark import TaskContext
 
-    return rows.groupBy("block").applyInArrow(run, "block int, word binary, n bigint")
+        block = TaskContext.get().partitionId() << 32
+        held: list[tuple] = []
+        size = 0
 
+        def made() -> pa.RecordBatch:
+            rows, payload = _block_rows(block, held, shared.value)
+            blocks, i, words, n = zip(*rows)
+            return pa.record_batch(
+                [pa.array([*blocks, block], pa.int64()), pa.array([*i, None], pa.int32()), pa.array([*words, None], pa.binary()), pa.array([*n, None], pa.int64()), pa.array([*[None] * len(rows), payload], pa.binary())],
+                ["block", "i", "word", "n", "payload"],
+            )
 
-def score_texts(docs: DataFrame, model: WindowScores, n_blocks: int) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row."""
-    spark = docs.sparkSession
-    rows = docs.select(
-        "doc_id", "text", held_out().alias("held_out"), F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_blocks)).cast("int").alias("block")
-    )
-    words = block_words(rows)
+        for batch in batches:
+            for row in zip(batch.column(0).to_pylist(), _bytes(batch.column(1)), batch.column(2).to_pylist()):
+                held.append(row)
+                size += len(row[1]) + 1
+                if size >= BLOCK_BYTES or len(held) == BLOCK_ROWS:
+                    yield made()
+                    held, size, block = [], 0, block + 1
+        if held:
+            yield made()
+
+    return docs.select("doc_id", "text", held_out().alias("held_out")).mapInArrow(run, "block bigint, i int, word binary, n bigint, payload binary")
+
+
+def score_texts(docs: DataFrame, model: WindowScores) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row.
+
+    Texts are read once and never shuffled: words go out by word to be counted, counts come
+    back by block to the block's payload.
+    """
+    rows = common.stored(block_rows(docs, model), "lm-blocks")
+    words = rows.where("i is not null").select("block", "i", "word", "n")
     totals = words.groupBy("word").agg(F.sum("n").alias("c"))
-    known = totals.where("c > 0").agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v"))
-    dictionary = words.join(totals, "word").select("block", "word", "c")
-    shared = spark.sparkContext.broadcast(model)  # at most MAX_WINDOWS windows and their nodes
+    size = totals.where("c > 0").agg(F.sum("c").alias("n"), F.count("*").alias("v")).first()
+    total, kinds = size["n"] or 0, size["v"]
+    norm = math.log10(total + 0.5 * (kinds + 1))
+    counts = words.select("block", "i", "word").join(totals, "word").select("block", "i", "c")
 
     def run(part: pa.Table, own: pa.Table) -> pa.Table:
-        texts = _bytes(part["text"])
-        counts = own["c"].to_numpy()
-        words = own["word"].to_pylist()
-        logs = dict(zip(words, np.log10(counts + 0.5).tolist()))
-        unknown = {w for w, c in zip(words, counts.tolist()) if not c}
-        n_tokens, n_known, base, score = [], [], [], []
-        for chunk in _chunks(texts):
-            keys, starts = windows(chunk, shared.value.tree.depth)
-            found = shared.value.log10(keys)
-            score += np.add.reduceat(found, starts[:-1]).tolist()
-            for text in chunk:
-                tokens = _words(text)
-                tokens.append(b"")
-                n_tokens.append(len(tokens))
-                base.append(math.fsum(map(logs.__getitem__, tokens)))
-                n_known.append(len(tokens) - sum(map(unknown.__contains__, tokens)))
+        c = np.zeros(len(own), np.int64)
+        c[own["i"].to_numpy()] = own["c"].to_numpy()
+        ids, out, sizes, score, spread, doc, n = pickle.loads(part["payload"][0].as_py())
+        n = n.astype(np.int64)
+        logs = np.bincount(doc, n * np.repeat(np.log10(c + 0.5), spread), len(ids))
+        known = np.bincount(doc, n * np.repeat(c > 0, spread), len(ids)).astype(np.int64)
+        out = np.unpackbits(out)[: len(ids)].astype(bool)
         return pa.table({
-            "doc_id": part["doc_id"], "held_out": part["held_out"], "n_tokens": pa.array(n_tokens, pa.int64()),
-            "n_known": pa.array(n_known, pa.int64()), "log_counts": pa.array(base, pa.float64()), "score": pa.array(score, pa.float64()),
+            "doc_id": pa.array(ids, pa.int64()), "held_out": pa.array(out), "n_tokens": pa.array(sizes.astype(np.int64)), "n_known": pa.array(known),
+            "train_tokens": pa.array(np.full(len(ids), total, np.int64)), "base_score": pa.array(logs - sizes * norm), "score": pa.array(score),
         })
 
-    scored = rows.groupBy("block").cogroup(dictionary.groupBy("block")).applyInArrow(
-        run, "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, log_counts double, score double"
-    )
-    total = known.select("n").scalar()
-    kinds = known.select("v").scalar()
-    norm = F.log10(total + F.lit(0.5) * (kinds + 1))
-    return scored.select(
-        "doc_id", "held_out", "n_tokens", "n_known", total.alias("train_tokens"),
-        (F.col("log_counts") - F.col("n_tokens") * norm).alias("base_score"), "score",
+    payloads = rows.where("i is null").select(F.col("block").alias("of_block"), "payload")
+    return payloads.groupBy("of_block").cogroup(counts.groupBy("block")).applyInArrow(
+        run, "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double"
     )
 
 
@@ -193,6 +221,4 @@ def code_lengths(docs: DataFrame, model: WindowScores, text_col: str = "text") -
 
 def op4_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents").select(F.col("doc_id").cast("bigint"), "text")
-    model = fit(docs.where(~held_out()))
-    size = docs.agg(F.sum(F.octet_length("text") + F.lit(0).cast("bigint"))).first()[0] or 0
-    return score_texts(docs, model, math.ceil(size / BLOCK_BYTES) or 1)
+    return score_texts(docs, fit(docs.where(~held_out())))
