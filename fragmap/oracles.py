@@ -91,7 +91,7 @@ conf AS (
  UNION ALL SELECT a.qid, [{'k':a.k,'c':a.clause,'x':a.expr,'s':a.sigma},{'k':b.k,'c':b.clause,'x':b.expr,'s':b.sigma}] FROM cand a JOIN cand b USING (qid) JOIN long l USING (qid) WHERE l.n = 2 AND a.k = 0 AND b.k = 1
  UNION ALL SELECT a.qid, [{'k':a.k,'c':a.clause,'x':a.expr,'s':a.sigma},{'k':b.k,'c':b.clause,'x':b.expr,'s':b.sigma},{'k':c.k,'c':c.clause,'x':c.expr,'s':c.sigma}]
   FROM cand a JOIN cand b USING (qid) JOIN cand c USING (qid) JOIN long l USING (qid) WHERE l.n = 3 AND a.k = 0 AND b.k = 1 AND c.k = 2),
-named AS (SELECT qid, array_to_string(list_transform(ps, p -> p.x), ' + ') AS config, len(ps) AS n, ps, pow(list_product(list_transform(ps, p -> p.s)), 1.0 / len(ps)) AS s_sigma FROM conf)"""
+named AS (SELECT qid, array_to_string(list_transform(ps, lambda p: p.x), ' + ') AS config, len(ps) AS n, ps, pow(list_product(list_transform(ps, lambda p: p.s)), 1.0 / len(ps)) AS s_sigma FROM conf)"""
 _PAIR = """
 pick AS (SELECT qid, config, n, s_sigma, unnest(ps) AS p FROM named),
 pick2 AS (SELECT qid, config, n, s_sigma, p.k AS k, p.c AS c, p.x AS x, p.s AS s FROM pick),
@@ -144,7 +144,7 @@ def _all_text(where: str, tables=None) -> str:
 
 
 def _has(stem: str) -> str:
-    return f"len(list_filter(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), t -> starts_with(t, '{stem}'))) > 0"
+    return f"len(list_filter(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), lambda t: starts_with(t, '{stem}'))) > 0"
 
 
 _PROFILE = " UNION ALL ".join(
@@ -156,7 +156,7 @@ _SLUG = "(SELECT table_name AS relation, column_name AS attribute FROM informati
 _KEYCOLS = """(VALUES ('nation.n_regionkey','region.r_regionkey'), ('customer.c_nationkey','nation.n_nationkey'), ('supplier.s_nationkey','nation.n_nationkey'), ('orders.o_custkey','customer.c_custkey'),
  ('lineitem.l_orderkey','orders.o_orderkey'), ('lineitem.l_partkey','part.p_partkey'), ('lineitem.l_suppkey','supplier.s_suppkey'), ('events.user_id','customer.c_custkey'), ('labels.doc_id','documents.doc_id')) AS k(src, dst)"""
 _TRADE_LIST = "('region','nation','customer','supplier','part','orders','lineitem')"
-_GRAMS = "list_distinct(list_transform(range(1, greatest(length({0}) - 1, 2)), i -> substr({0}, i, 3)))"
+_GRAMS = "list_distinct(list_transform(range(1, greatest(length({0}) - 1, 2)), lambda i: substr({0}, i, 3)))"
 
 ORACLE_SQL = {
     "log_synth": "SELECT event_id % 20 AS template, event_id % 3 AS spelling, count(*)::BIGINT AS n, count(DISTINCT user_id)::BIGINT AS users, (count(*) FILTER (event_id % 3 <> 1))::BIGINT AS upper_case FROM events GROUP BY ALL",
@@ -195,7 +195,7 @@ ORACLE_SQL = {
     "cand_text_namedrop": f"""WITH a AS ({_all_text('')}) SELECT DISTINCT 'd1' AS qid, relation, attribute, value FROM a WHERE {_has('small')} AND {_has('ring')} AND (relation = 'part' OR {_has('part')})
       UNION ALL SELECT DISTINCT 'd2', relation, attribute, value FROM a WHERE relation <> 'part' AND {_has('part')}""",
     "numeric_profile": _PROFILE,
-    "text_terms": f"""WITH a AS (SELECT DISTINCT relation, attribute, value FROM ({_all_text('')})), t AS (SELECT relation, attribute, value, unnest(list_distinct(list_filter(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), x -> x <> ''))) AS term FROM a)
+    "text_terms": f"""WITH a AS (SELECT DISTINCT relation, attribute, value FROM ({_all_text('')})), t AS (SELECT relation, attribute, value, unnest(list_distinct(list_filter(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), lambda x: x <> ''))) AS term FROM a)
       SELECT relation, attribute, count(DISTINCT value)::BIGINT AS "values", count(DISTINCT term)::BIGINT AS terms, count(*)::BIGINT AS postings FROM t GROUP BY ALL""",
     "sim_ngram": f"""WITH p AS (SELECT DISTINCT lower(p_name) AS a FROM part), q AS (SELECT DISTINCT lower(p_type) AS b FROM part), g AS (SELECT a, b, {_GRAMS.format('a')} AS x, {_GRAMS.format('b')} AS y FROM p, q)
       SELECT a, b, round(2.0 * len(list_intersect(x, y)) / (len(x) + len(y)), 9) AS sigma, round(1.0 * len(list_intersect(x, y)) / len(list_distinct(list_concat(x, y))), 9) AS jaccard FROM g""",
@@ -211,9 +211,9 @@ ORACLE_SQL = {
     "prune_exact": _prune(5, "p_size / 49.0"), "prune_kappa": _prune(3, "round(p_retailprice / 10000, 6)"), "prune_kappa_ties": _prune(5, "p_size / 100.0"),
     "prune_zero_ties": _prune(5, "CASE WHEN p_partkey % 40 = 0 THEN 0.5::DOUBLE ELSE 0.0::DOUBLE END"),
     "cfg_all": f"WITH {_CAND} SELECT qid, config FROM named",
-    "cfg_beam": f"WITH {_CAND} SELECT qid, config FROM named QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(list_product(list_transform(ps, p -> p.s)), 12) DESC, config) = 1",
+    "cfg_beam": f"WITH {_CAND} SELECT qid, config FROM named QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(list_product(list_transform(ps, lambda p: p.s)), 12) DESC, config) = 1",
     "cfg_sigma_geo": f"WITH {_CAND} SELECT qid, config, round(s_sigma, 9) AS s_sigma FROM named",
-    "cfg_sigma_arith": f"WITH {_CAND} SELECT qid, config, round(list_avg(list_transform(ps, p -> p.s)), 9) AS s_sigma FROM named",
+    "cfg_sigma_arith": f"WITH {_CAND} SELECT qid, config, round(list_avg(list_transform(ps, lambda p: p.s)), 9) AS s_sigma FROM named",
     "cfg_qfg_square": f"{_CFG}, {_qfg('true')} SELECT qid, config, round(s_qfg, 9) AS s_qfg FROM logs",
     "cfg_qfg_ordered": f"{_CFG}, {_qfg('k1 <> k2')} SELECT qid, config, round(s_qfg, 9) AS s_qfg FROM logs",
     "cfg_qfg_unordered": f"{_CFG}, {_qfg('k1 < k2')} SELECT qid, config, round(s_qfg, 9) AS s_qfg FROM logs",
@@ -290,3 +290,30 @@ GOLD = {
     "d08": "SELECT round(avg(n_chars), 4) AS c0, source AS c1 FROM documents, labels WHERE labels.doc_id = documents.doc_id AND toxic = 0 GROUP BY source",
 }
 ORACLE_SQL |= {f"run_{k}": v for k, v in GOLD.items()}
+#: Copied references of each fork; the two ways differ in one edge of the last.
+_FORKED = """('part.p_name','lineitem#1.l_partkey','part#1.p_partkey'),
+ ('part.p_name','lineitem#1.l_orderkey','orders.o_orderkey'),
+ ('part.p_name','lineitem#1.l_suppkey','supplier.s_suppkey'),
+ ('labels.quality','labels#1.doc_id','documents.doc_id'),
+ ('documents.lang','labels#1.doc_id','documents#1.doc_id'),
+ ('orders.o_orderstatus','lineitem#1.l_orderkey','orders#1.o_orderkey'),
+ ('orders.o_orderstatus','orders#1.o_custkey','customer.c_custkey'),
+ ('orders.o_orderstatus','lineitem#1.l_partkey','part.p_partkey'),
+ ('orders.o_orderstatus','lineitem#1.l_suppkey','supplier.s_suppkey'),
+ ('customer.c_name','orders#1.o_custkey','customer#1.c_custkey'),
+ ('customer.c_name','lineitem#1.l_orderkey','orders#1.o_orderkey'),
+ ('customer.c_name','customer#1.c_nationkey','nation.n_nationkey'),
+ ('customer.c_name','lineitem#1.l_partkey','part.p_partkey'),
+ ('customer.c_name','lineitem#1.l_suppkey','supplier.s_suppkey'),
+ ('events.event_type','events#1.user_id','customer.c_custkey'),
+ ('nation.n_name','customer#1.c_nationkey','nation#1.n_nationkey'),
+ ('nation.n_name','supplier#1.s_nationkey','nation#1.n_nationkey'),
+ ('nation.n_name','orders#1.o_custkey','customer#1.c_custkey'),
+ ('nation.n_name','lineitem#1.l_suppkey','supplier#1.s_suppkey'),
+ ('nation.n_name','nation#1.n_regionkey','region.r_regionkey'),
+ ('nation.n_name','lineitem#1.l_partkey','part.p_partkey'),
+ ('nation.n_name','lineitem#1.l_orderkey','{orders}.o_orderkey')"""
+ORACLE_SQL |= {
+    "fork_edges": f"SELECT * FROM (VALUES {_FORKED.format(orders='orders')}) x(start, fk, pk)",
+    "fork_edges_closure": f"SELECT * FROM (VALUES {_FORKED.format(orders='orders#1')}) x(start, fk, pk)",
+}
