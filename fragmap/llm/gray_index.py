@@ -12,7 +12,7 @@ from __future__ import annotations
 import numpy as np
 
 FANOUT = 8
-CHUNK = 512
+CHUNK = 256
 
 
 def gray_rank(codes: np.ndarray) -> np.ndarray:

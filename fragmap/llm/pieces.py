@@ -33,9 +33,9 @@ from pyspark.sql import functions as F
 from fragmap.llm import common
 
 MODEL = "piece_bpe_32k.model"
-GROUP_CHARS = 8_000_000
-INDEX_CHARS = 1_000_000
-CACHE_UNITS = 400_000
+GROUP_CHARS = 4_000_000
+INDEX_CHARS = 400_000
+CACHE_UNITS = 200_000
 #: Fixed value: the mark that stands for a space.
 SPACE = "▁"
 _UNIT = re.compile(f"{SPACE}+[^{SPACE}\n]*|\n|[^{SPACE}\n]+")

@@ -33,7 +33,7 @@ RATE = 0.15
 DECAY = 2e-4
 MIN_SEEN = 4
 PREFIXES = (4, 6)
-CACHE = 1 << 20
+CACHE = 1 << 18
 THRESHOLD = 0.5
 FOLDS = 5
 HELD_OUT = 0
