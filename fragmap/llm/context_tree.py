@@ -130,7 +130,7 @@ class WindowScores:
         self.mask = np.uint64(size - 1)
         self.slots, self.values = np.full(size, ~np.uint64(0), np.uint64), np.zeros(size, np.float32)
         keys = np.asarray(keys, np.uint64)
-        scores = np.concatenate([tree.log10(keys[i : i + 500_000]) for i in range(0, len(keys), 500_000)] or [np.empty(0)]).astype(np.float32)
+        scores = np.concatenate([tree.log10(keys[i : i + 200_000]) for i in range(0, len(keys), 200_000)] or [np.empty(0)]).astype(np.float32)
         at = self._home(keys)
         while len(keys):
             free = self.slots[at] == ~np.uint64(0)

@@ -20,7 +20,9 @@ from __future__ import annotations
 
 import math
 import pickle
+import uuid
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -32,11 +34,11 @@ from fragmap.llm import common
 from fragmap.llm.context_tree import BITS, ContextTree, WindowScores, counted, windows
 
 DEPTH = 5
-MAX_WINDOWS = 6_000_000
-BLOCK_BYTES = 8 << 20
+MAX_WINDOWS = 4_000_000
+BLOCK_BYTES = 6 << 20
 BLOCK_ROWS = 60_000
-CHUNK_BYTES = 4 << 20
-HOLD = 4_000_000
+CHUNK_BYTES = 2 << 20
+HOLD = 2_000_000
 FOLDS = 5
 HELD_OUT = 1
 
@@ -92,8 +94,27 @@ def _counts(keys: np.ndarray, counts: np.ndarray) -> pa.RecordBatch:
     return pa.record_batch([pa.array(keys.view(np.int64)), pa.array(counts.astype(np.int64))], ["window", "n"])
 
 
-def fit(texts: DataFrame, depth: int = DEPTH, max_windows: int = MAX_WINDOWS) -> WindowScores:
-    """The scorer learned from all rows of ``texts``; its size is checked before anything is collected."""
+@dataclass
+class TextModel:
+    """Counts of windows, at most MAX_WINDOWS; trees and tables are several times larger, so each worker builds its own once."""
+
+    keys: np.ndarray
+    counts: np.ndarray
+    depth: int
+    token: str
+
+    def scores(self) -> WindowScores:
+        if self.token not in _BUILT:
+            _BUILT.clear()
+            _BUILT[self.token] = WindowScores(ContextTree(self.keys, self.counts, self.depth), self.keys)
+        return _BUILT[self.token]
+
+
+_BUILT: dict[str, WindowScores] = {}
+
+
+def fit(texts: DataFrame, depth: int = DEPTH, max_windows: int = MAX_WINDOWS) -> TextModel:
+    """The model learned from all rows of ``texts``; its size is checked before anything is collected."""
     counts = common.checkpoint(count_windows(texts, depth))
     while depth > 2 and counts.count() > max_windows:
         depth -= 1
@@ -101,7 +122,7 @@ def fit(texts: DataFrame, depth: int = DEPTH, max_windows: int = MAX_WINDOWS) ->
         counts = common.checkpoint(counts.groupBy(shorter.alias("window")).agg(F.sum("n").alias("n")))
     table = counts.toArrow()
     keys, n = counted(table["window"].to_numpy().view(np.uint64), table["n"].to_numpy())
-    return WindowScores(ContextTree(keys, n, depth), keys)
+    return TextModel(keys, n.astype(np.int64 if n.size and n.max() >= 1 << 31 else np.int32), depth, uuid.uuid4().hex)
 
 
 def _words(text: bytes) -> list[bytes]:
@@ -124,21 +145,23 @@ def _block_rows(block: int, docs: list[tuple], model: WindowScores) -> tuple[lis
     word, doc = (pairs >> np.uint64(32)).astype(np.int64), (pairs & np.uint64(0xFFFFFFFF)).astype(np.int64)
     train = np.array([not out for *_, out in docs], bool)
     in_train = np.bincount(word, np.where(train[doc], n, 0), len(number)).astype(np.int64)
-    keys, starts = windows([t for _, t, _ in docs], model.tree.depth)
-    score = np.add.reduceat(model.log10(keys), starts[:-1])
+    score = []
+    for chunk in _chunks([t for _, t, _ in docs]):
+        keys, starts = windows(chunk, model.tree.depth)
+        score.append(np.add.reduceat(model.log10(keys), starts[:-1]))
     payload = pickle.dumps((
-        [d for d, *_ in docs], np.packbits(~train), sizes.astype(np.int32), score, np.bincount(word, minlength=len(number)).astype(np.int32),
+        [d for d, *_ in docs], np.packbits(~train), sizes.astype(np.int32), np.concatenate(score), np.bincount(word, minlength=len(number)).astype(np.int32),
         doc.astype(np.uint16), n.astype(np.uint16) if n.max() < 65536 else n.astype(np.int32),
     ), protocol=5)
     return list(zip([block] * len(number), range(len(number)), number, in_train.tolist())), payload
 
 
-def block_rows(docs: DataFrame, model: WindowScores) -> DataFrame:
+def block_rows(docs: DataFrame, model: TextModel) -> DataFrame:
     """(block, i, word, n, payload): a row per block and distinct word (the end is the word of no bytes), and one with the payload.
 
     Blocks are runs of rows of a partition, numbered by partition and place, so a task that is run again makes the same ones.
     """
-    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most MAX_WINDOWS windows and their nodes
+    shared = docs.sparkSession.sparkContext.broadcast(model)  # at most MAX_WINDOWS windows and their counts
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -148,7 +171,7 @@ def block_rows(docs: DataFrame, model: WindowScores) -> DataFrame:
         size = 0
 
         def made() -> pa.RecordBatch:
-            rows, payload = _block_rows(block, held, shared.value)
+            rows, payload = _block_rows(block, held, shared.value.scores())
             blocks, i, words, n = zip(*rows)
             return pa.record_batch(
                 [pa.array([*blocks, block], pa.int64()), pa.array([*i, None], pa.int32()), pa.array([*words, None], pa.binary()), pa.array([*n, None], pa.int64()), pa.array([*[None] * len(rows), payload], pa.binary())],
@@ -168,7 +191,7 @@ def block_rows(docs: DataFrame, model: WindowScores) -> DataFrame:
     return docs.select("doc_id", "text", held_out().alias("held_out")).mapInArrow(run, "block bigint, i int, word binary, n bigint, payload binary")
 
 
-def score_texts(docs: DataFrame, model: WindowScores) -> DataFrame:
+def score_texts(docs: DataFrame, model: TextModel) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row.
 
     Texts are read once and never shuffled: words go out by word to be counted, counts come
@@ -207,11 +230,12 @@ def code_lengths(docs: DataFrame, model: WindowScores, text_col: str = "text") -
     at = names.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model = shared.value.scores()
         for batch in batches:
             bits = []
             for chunk in _chunks(_bytes(batch.column(at))):
-                keys, starts = windows(chunk, shared.value.tree.depth)
-                sums = np.add.reduceat(shared.value.log10(keys), starts[:-1])
+                keys, starts = windows(chunk, model.tree.depth)
+                sums = np.add.reduceat(model.log10(keys), starts[:-1])
                 bits += (-sums / math.log10(2) / np.diff(starts)).tolist()
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(bits, pa.float64())], [*names, "bits_per_byte"])
 
