@@ -35,7 +35,7 @@ from fragmap.llm.context_tree import BITS, ContextTree, WindowScores, counted, w
 
 DEPTH = 5
 MAX_WINDOWS = 4_000_000
-BLOCK_BYTES = 6 << 20
+BLOCK_BYTES = 16 << 20
 BLOCK_ROWS = 60_000
 CHUNK_BYTES = 2 << 20
 HOLD = 2_000_000
@@ -115,11 +115,11 @@ _BUILT: dict[str, WindowScores] = {}
 
 def fit(texts: DataFrame, depth: int = DEPTH, max_windows: int = MAX_WINDOWS) -> TextModel:
     """The model learned from all rows of ``texts``; its size is checked before anything is collected."""
-    counts = common.checkpoint(count_windows(texts, depth))
+    counts = common.stored(count_windows(texts, depth), "lm-windows")
     while depth > 2 and counts.count() > max_windows:
         depth -= 1
         shorter = F.col("window").bitwiseAND(F.lit((1 << (BITS * (depth + 1))) - 1))
-        counts = common.checkpoint(counts.groupBy(shorter.alias("window")).agg(F.sum("n").alias("n")))
+        counts = common.stored(counts.groupBy(shorter.alias("window")).agg(F.sum("n").alias("n")), "lm-windows")
     table = counts.toArrow()
     keys, n = counted(table["window"].to_numpy().view(np.uint64), table["n"].to_numpy())
     return TextModel(keys, n.astype(np.int64 if n.size and n.max() >= 1 << 31 else np.int32), depth, uuid.uuid4().hex)
@@ -199,7 +199,7 @@ def score_texts(docs: DataFrame, model: TextModel) -> DataFrame:
     """
     rows = common.stored(block_rows(docs, model), "lm-blocks")
     words = rows.where("i is not null").select("block", "i", "word", "n")
-    totals = words.groupBy("word").agg(F.sum("n").alias("c"))
+    totals = common.stored(words.groupBy("word").agg(F.sum("n").alias("c")), "lm-vocabulary")
     size = totals.where("c > 0").agg(F.sum("c").alias("n"), F.count("*").alias("v")).first()
     total, kinds = size["n"] or 0, size["v"]
     norm = math.log10(total + 0.5 * (kinds + 1))
