@@ -126,13 +126,15 @@ def _spelled(template: tuple, spelling: int) -> list[str]:
 
 def synth_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One statement per row of ``events``: template event_id % 20 in spelling event_id % 3."""
-    values = _values()
-    events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "value", "props")
-    rendered = None
+    rows = []
     for t, template in enumerate(TEMPLATES):
         for spelling in range(3):
-            parts = _spelled(template, spelling)
-            text = F.concat(*[F.lit(p) if i % 2 == 0 else values[p] for i, p in enumerate(parts)])
-            here = (F.col("event_id") % 20 == t) & (F.col("event_id") % 3 == spelling)
-            rendered = F.when(here, text) if rendered is None else rendered.when(here, text)
-    return events.select(F.col("event_id").alias("log_id"), F.col("ts").cast("timestamp").alias("ts"), "user_id", rendered.alias("sql"))
+            pieces = _spelled(template, spelling)
+            rows.append((t, spelling, [(pieces[i], pieces[i + 1] if i + 1 < len(pieces) else "") for i in range(0, len(pieces), 2)]))
+    texts = spark.createDataFrame(rows, "template int, spelling int, parts array<struct<text:string,rule:string>>")
+    values = F.create_map(*[x for rule, c in {**_values(), "": F.lit("")}.items() for x in (F.lit(rule), c)])
+    events = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "value", "props")
+    events = events.withColumns({"template": (F.col("event_id") % 20).cast("int"), "spelling": (F.col("event_id") % 3).cast("int"), "values": values})
+    sql = F.array_join(F.transform("parts", lambda p: F.concat(p["text"], F.element_at("values", p["rule"]))), "")
+    spelled = events.join(F.broadcast(texts), ["template", "spelling"])  # 60 rows
+    return spelled.select(F.col("event_id").alias("log_id"), F.col("ts").cast("timestamp").alias("ts"), "user_id", sql.alias("sql"))
