@@ -35,7 +35,7 @@ from fragmap.llm.context_tree import BITS, ContextTree, WindowScores, counted, w
 
 DEPTH = 5
 MAX_WINDOWS = 4_000_000
-BLOCK_BYTES = 16 << 20
+BLOCK_BYTES = 9 << 20
 BLOCK_ROWS = 60_000
 CHUNK_BYTES = 2 << 20
 HOLD = 2_000_000
