@@ -83,24 +83,26 @@ class GrayIndex:
             return a, b
         order = np.lexsort((b, a, np.bitwise_count(self.codes[a] ^ self.codes[b])))
         a, b = a[order], b[order]
-        label, kept = np.arange(len(self.codes)), []
-        place = np.arange(len(a))
-        while True:
-            apart = label[a[place]] != label[b[place]]
-            place = place[apart]
-            if not len(place):
-                break
-            x, y = label[a[place]], label[b[place]]
-            best = np.full(len(label), len(a))
-            np.minimum.at(best, x, place)  # each component takes its nearest way out
-            np.minimum.at(best, y, place)
-            own = np.unique(best[best < len(a)])
-            kept.append(own)
-            merge(label, a[own], b[own])
-        own = np.concatenate(kept) if kept else np.empty(0, np.int64)
+        own = spanning(len(self.codes), a, b)
         return a[own], b[own]
 
 
+def spanning(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Numbers of links (a, b) among ``n`` nodes that join all components, earlier links first."""
+    label, kept, place = np.arange(n), [], np.arange(len(a))
+    while True:
+        place = place[label[a[place]] != label[b[place]]]
+        if not len(place):
+            break
+        best = np.full(n, len(a))
+        np.minimum.at(best, label[a[place]], place)  # each component takes its first way out
+        np.minimum.at(best, label[b[place]], place)
+        own = np.unique(best[best < len(a)])
+        kept.append(own)
+        merge(label, a[own], b[own])
+    return np.concatenate(kept) if kept else np.empty(0, np.int64)
+
+
 def merge(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> None:
     """Joins the labels of linked positions in place; every label becomes the least of its set."""
     while len(a):

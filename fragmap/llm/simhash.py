@@ -17,6 +17,7 @@ table gives an empty result.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -27,13 +28,17 @@ from pyspark.sql import functions as F
 
 from fragmap.llm import common
 from fragmap.llm.components import connected_components
-from fragmap.llm.gray_index import GrayIndex
+from fragmap.llm.gray_index import GrayIndex, spanning
 
 SHINGLE = 4
 MAX_DIFF = 4
 SEED = 42
 GROUP = 1024
 SKETCH = 256
+PART = 16
+OFTEN = 8
+PAIRS = 1_000_000
+FORESTS = 2
 SIMILARITY = 0.8
 
 
@@ -63,26 +68,16 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return majority(shingle_hashes(text, shingle))
 
 
-def fingerprints(docs: DataFrame, keep: list[str], text_col: str = "text", shingle: int = SHINGLE, sketch: int = 0) -> DataFrame:
-    """``keep`` columns, ``fp`` (bigint with the bits of the fingerprint) and, if asked, the ``sketch`` least distinct shingle hashes."""
+def fingerprints(docs: DataFrame, keep: list[str], text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
+    """``keep`` columns and ``fp`` (bigint with the bits of the fingerprint)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            codes, least = [], []
-            for t in batch.column("_fp_text"):
-                hashes = shingle_hashes(t.as_py(), shingle)
-                codes.append(majority(hashes))
-                if sketch:
-                    short = np.ascontiguousarray(hashes[:, :4]).view(">u4").ravel().astype(np.uint32) >> np.uint32(1)
-                    least.append(np.unique(short)[:sketch].astype(np.int32))
-            cols = [*[batch.column(c) for c in keep], pa.array(np.array(codes, np.uint64).view(np.int64))]
-            if sketch:
-                cols.append(pa.array(least, pa.list_(pa.int32())))
-            yield pa.record_batch(cols, [*keep, "fp", *["sketch"] * bool(sketch)])
+            codes = [fingerprint(t.as_py(), shingle) for t in batch.column("_fp_text")]
+            yield pa.record_batch([*[batch.column(c) for c in keep], pa.array(np.array(codes, np.uint64).view(np.int64))], [*keep, "fp"])
 
     kinds = [f"`{n}` {k}" for n, k in docs.select(*keep).dtypes]
-    schema = ", ".join([*kinds, "fp bigint", *["sketch array<int>"] * bool(sketch)])
-    return docs.select(*keep, F.col(text_col).alias("_fp_text")).mapInArrow(run, schema)
+    return docs.select(*keep, F.col(text_col).alias("_fp_text")).mapInArrow(run, ", ".join([*kinds, "fp bigint"]))
 
 
 def piece_keys(n: int, max_diff: int = MAX_DIFF, group: int = GROUP) -> list[int]:
@@ -101,11 +96,8 @@ def _signed(mask: int) -> int:
     return mask - (1 << 64) if mask >= 1 << 63 else mask
 
 
-def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int = GROUP, forest: bool = False) -> DataFrame:
-    """(u, v) edges over distinct ``fp``, at most one per fingerprint, key and block pair, with all components of the links.
-
-    With ``forest`` each edge is itself a link, the nearest that join the components of a task, so that it can be verified.
-    """
+def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int = GROUP) -> DataFrame:
+    """(u, v) edges over distinct ``fp``, at most one per fingerprint, key and block pair, with all components of the links."""
     masks = piece_keys(n, max_diff, group)
     keys = F.explode(F.array(*[F.struct(F.lit(i).alias("k"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("part")) for i, m in enumerate(masks)]))
     keyed = codes.select("fp", keys.alias("key")).select("fp", "key.k", "key.part")
@@ -131,14 +123,14 @@ def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int =
             cut = int(np.searchsorted(task, task[-1], "left")) if len(task) else 0
             tail_task, tail_fp = task[cut:], fp[cut:]
             if cut:
-                yield _edges(task[:cut], fp[:cut], max_diff, forest)
+                yield _edges(task[:cut], fp[:cut], max_diff)
         if len(tail_task):
-            yield _edges(tail_task, tail_fp, max_diff, forest)
+            yield _edges(tail_task, tail_fp, max_diff)
 
     return tasks.repartition(parts, "task").sortWithinPartitions("task").mapInArrow(run, "u bigint, v bigint")
 
 
-def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int, forest: bool) -> pa.RecordBatch:
+def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int) -> pa.RecordBatch:
     """Links of each run of equal ``task``: from every code to the first of its local component.
 
     Two keys that hash to one task only add rows to an exact search.
@@ -154,12 +146,9 @@ def _edges(task: np.ndarray, fp: np.ndarray, max_diff: int, forest: bool) -> pa.
         vs.append(b[near])
     for i in np.flatnonzero(sizes > 2):
         index = GrayIndex(fp[bounds[i] : bounds[i + 1]].view(np.uint64))
-        if forest:
-            own, to = index.forest(max_diff)
-        else:
-            label = index.components(max_diff)
-            own = np.flatnonzero(label != np.arange(len(label)))
-            to = label[own]
+        label = index.components(max_diff)
+        own = np.flatnonzero(label != np.arange(len(label)))
+        to = label[own]
         us.append(index.codes[own].view(np.int64))
         vs.append(index.codes[to].view(np.int64))
     join = lambda xs: pa.array(np.concatenate(xs) if xs else np.empty(0, np.int64))
@@ -181,39 +170,208 @@ def near_duplicate_groups(
     return rows.join(known, "fp").select("doc_id", "fp", "component_id")
 
 
-def drop_near_duplicates(
-    docs: DataFrame, shingle: int, max_diff: int, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text"
+def shingle_set(text: str | None, shingle: int = SHINGLE) -> np.ndarray:
+    """Distinct shingle hashes in order."""
+    return np.unique(np.ascontiguousarray(shingle_hashes(text, shingle)).view(">u8").ravel().astype(np.uint64))
+
+
+def prefix_size(n: int, similarity: float) -> int:
+    return n - math.ceil(similarity * n - 1e-9) + 1
+
+
+def frequent_shingles(texts: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Shingle hashes of many texts, in order, and about how many hold each.
+
+    Counted over a part of the texts: it only orders shingles and sizes blocks, so no result
+    depends on it. The least count grows with the input, so the list is bounded.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t.as_py(), shingle) for t in batch.column(0)]
+            yield pa.record_batch([pa.array(np.concatenate(sets).view(np.int64) if sets else np.empty(0, np.int64))], ["h"])
+
+    part = common.checkpoint(texts.where(F.pmod("tid", F.lit(PART)) == 0).dropDuplicates(["tid"]).select("text"))
+    least = max(OFTEN, part.count() // 2000)
+    table = part.mapInArrow(run, "h bigint").groupBy("h").agg(F.count("*").alias("n")).where(F.col("n") >= least).toArrow()
+    often, n = table["h"].to_numpy().view(np.uint64), table["n"].to_numpy()
+    order = np.argsort(often)
+    return often[order], n[order] * PART
+
+
+def prefixes(texts: DataFrame, often: np.ndarray, shingle: int, similarity: float) -> DataFrame:
+    """doc, tid, fp, the number of distinct shingles and those of the prefix.
+
+    In any one order of all shingles, two sets of Jaccard ``similarity`` or more share one
+    among their first ``prefix_size``; frequent shingles come last in this order.
+    """
+    shared = texts.sparkSession.sparkContext.broadcast(often)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        often = shared.value
+        for batch in batches:
+            codes, sizes, firsts = [], [], []
+            for t in batch.column("text"):
+                hashes = shingle_hashes(t.as_py(), shingle)
+                codes.append(majority(hashes))
+                own = np.unique(np.ascontiguousarray(hashes).view(">u8").ravel().astype(np.uint64))
+                sizes.append(len(own))
+                if len(often) and len(own):
+                    late = often[np.minimum(np.searchsorted(often, own), len(often) - 1)] == own
+                    own = np.concatenate([own[~late], own[late]])
+                firsts.append((own[: prefix_size(len(own), similarity)] if len(own) else np.zeros(1, np.uint64)).view(np.int64))
+            yield pa.record_batch(
+                [batch.column("doc"), batch.column("tid"), pa.array(np.array(codes, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(firsts, pa.list_(pa.int64()))],
+                ["doc", "tid", "fp", "size", "prefix"],
+            )
+
+    return texts.mapInArrow(run, "doc bigint, tid bigint, fp bigint, size int, prefix array<bigint>")
+
+
+def candidate_pairs(
+    texts: DataFrame, often: np.ndarray, counts: np.ndarray, similarity: float, max_diff: int | None, forest: int | None, group: int = GROUP
 ) -> DataFrame:
-    """The rows of ``docs`` that stay: of each group the one of least id.
+    """Distinct (a, b) of texts of different ``root`` that share a prefix shingle and may reach ``similarity``.
 
-    Candidates are the nearest links among fingerprints within ``max_diff`` bits; each is
-    verified by the Jaccard of the shingle sets, taken from the ``SKETCH`` least hashes of
-    both (exact up to that many shingles). Texts without a word are copies of each other;
-    of repeated rows of one id and text one stays.
+    With ``forest`` only links that join the components inside a batch of tasks: the nearest
+    fingerprints first if 0, in another order for every other number. Without, all of them.
     """
-    names = docs.columns
-    keyed = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(-(2**63))).alias("doc"), F.xxhash64(text_col).alias("tid"), F.col(text_col).alias("text"))
-    rows = common.stored(fingerprints(keyed, ["doc", "tid"], "text", shingle, SKETCH), "simhash-rows")
-    nodes = common.checkpoint(
-        rows.groupBy("tid").agg(F.min("doc").alias("first_doc"), F.first("fp").alias("fp"), F.count("*").alias("n"), F.count_distinct("doc").alias("ids"))
+    spark = texts.sparkSession
+    keyed = texts.select("tid", "fp", "size", "root", F.posexplode("prefix").alias("pos", "h"))
+    many = counts > group
+    blocks = spark.createDataFrame(list(zip(often[many].view(np.int64).tolist(), (-(-counts[many] // group)).tolist())), "h bigint, blocks int")
+    own = F.pmod(F.xxhash64("tid"), F.col("blocks")).cast("int")
+    cut = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.xxhash64("h", F.least(o, own), F.greatest(o, own)))
+    tasks = keyed.join(F.broadcast(blocks), "h", "left").select(
+        F.explode(F.when(F.col("blocks").isNull(), F.array("h")).otherwise(cut)).alias("task"), "tid", "fp", "size", "root", "pos"
     )
-    codes = common.checkpoint(nodes.groupBy("fp").agg(F.min("tid").alias("rep")))
-    edges = link_edges(codes.select("fp"), codes.count(), max_diff, forest=True).distinct()
-    left, right = codes.select(F.col("fp").alias("u"), F.col("rep").alias("a")), codes.select(F.col("fp").alias("v"), F.col("rep").alias("b"))
-    pairs = edges.join(left, "u").join(right, "v").select("a", "b")
-    same = nodes.join(codes, "fp").where("tid <> rep").select(F.col("tid").alias("a"), F.col("rep").alias("b"))
-    pairs = common.checkpoint(pairs.unionByName(same))
-    linked = pairs.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
-    sketches = rows.join(linked.hint("shuffle_hash"), ["tid", "doc"]).groupBy("tid").agg(F.first("sketch").alias("sketch"))
-    sketches = common.stored(sketches, "simhash-sketches")
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
+    names = ["task", "tid", "fp", "size", "root", "pos"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tail = None
+        for batch in batches:
+            cols = [batch.column(c).to_numpy(zero_copy_only=False) for c in names]
+            cols = cols if tail is None else [np.concatenate(x) for x in zip(tail, cols)]
+            end = int(np.searchsorted(cols[0], cols[0][-1], "left")) if len(cols[0]) else 0
+            tail = [c[end:] for c in cols]
+            yield from _candidates([c[:end] for c in cols], similarity, max_diff, forest)
+        if tail is not None:
+            yield from _candidates(tail, similarity, max_diff, forest)
+
+    return tasks.repartition(parts, "task").sortWithinPartitions("task").mapInArrow(run, "a bigint, b bigint").distinct()
+
+
+def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None, forest: int | None) -> Iterator[pa.RecordBatch]:
+    """Pairs inside each run of equal task, made in chunks of about ``PAIRS``."""
+    task, tid, fp, size, root, pos = cols
+    if not len(task):
+        return
+    size, fp = size.astype(np.int64), fp.view(np.uint64)
+    bounds = np.concatenate([[0], np.flatnonzero(np.diff(task)) + 1, [len(task)]])
+    later = np.repeat(bounds[1:], np.diff(bounds)) - np.arange(len(task)) - 1
+    before = np.concatenate([[0], np.cumsum(later)])
+    first = 0
+    while first < len(task):
+        end = max(first + 1, int(np.searchsorted(before, before[first] + PAIRS, "right")) - 1)
+        n = later[first:end]
+        a = np.repeat(np.arange(first, end), n)
+        b = a + 1 + np.arange(len(a)) - np.repeat(before[first:end] - before[first], n)
+        first = end
+        # at the first shingle that two texts share, no more than what follows in both can be shared
+        most = np.minimum(size[a] - pos[a], size[b] - pos[b])
+        keep = (root[a] != root[b]) & ((1 + similarity) * most >= similarity * (size[a] + size[b]) - 1e-6)
+        a, b = a[keep], b[keep]
+        far = np.bitwise_count(fp[a] ^ fp[b])
+        if max_diff is not None:
+            a, b, far = a[far <= max_diff], b[far <= max_diff], far[far <= max_diff]
+        if not len(a):
+            continue
+        lo, hi = np.minimum(tid[a], tid[b]), np.maximum(tid[a], tid[b])
+        if forest is not None:
+            with np.errstate(over="ignore"):
+                mixed = (lo * np.int64(0x9E3779B97F4A7C1 + 2 * forest)) ^ (hi * np.int64(0x2545F4914F6CDD1D))
+                mixed = (mixed ^ (mixed >> np.int64(29))) * np.int64(0x3C79AC492BA7B653 + 2 * forest)
+            order = np.lexsort((mixed, far)) if forest == 0 else np.argsort(mixed, kind="stable")
+            known, number = np.unique(np.concatenate([root[a], root[b]])[np.concatenate([order, len(a) + order])], return_inverse=True)
+            own = order[spanning(len(known), number[: len(a)], number[len(a) :])]
+            lo, hi = lo[own], hi[own]
+        else:
+            order = np.lexsort((hi, lo))
+            lo, hi = lo[order], hi[order]
+            new = np.concatenate([[True], (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])])
+            lo, hi = lo[new], hi[new]
+        yield pa.record_batch([pa.array(lo), pa.array(hi)], ["a", "b"])
+
+
+def shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """(tid, shingles): the ``SKETCH`` least shingle hashes of each text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_set(t.as_py(), shingle)[:SKETCH].view(np.int64) for t in batch.column("text")]
+            yield pa.record_batch([batch.column("tid"), pa.array(sets, pa.list_(pa.int64()))], ["tid", "shingles"])
+
+    return texts.select("tid", "text").mapInArrow(run, "tid bigint, shingles array<bigint>")
+
+
+def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The (a, b) whose shingle sets have Jaccard ``similarity`` or more, or are both empty."""
     least = F.slice(F.array_sort(F.array_union("x", "y")), 1, SKETCH)
     share = F.size(F.array_intersect(least, F.array_intersect("x", "y"))) / F.greatest(F.size(least), F.lit(1))
-    verified = (
-        pairs.join(sketches.select(F.col("tid").alias("a"), F.col("sketch").alias("x")), "a")
-        .join(sketches.select(F.col("tid").alias("b"), F.col("sketch").alias("y")), "b")
+    return (
+        pairs.join(sets.select(F.col("tid").alias("a"), F.col("shingles").alias("x")), "a")
+        .join(sets.select(F.col("tid").alias("b"), F.col("shingles").alias("y")), "b")
         .where((share >= similarity) | (F.size("x") + F.size("y") == 0)).select("a", "b")
     )
-    roots = connected_components(verified, "a", "b")
+
+
+def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_diff: int | None, similarity: float) -> DataFrame:
+    """(node, root) of the texts that some verified pair joins.
+
+    Every candidate is verified or lies inside a component already. A few rounds verify only
+    links that join components, so that a large group is joined without its pairs; the last
+    round takes every candidate left between different components.
+    """
+    often, counts = frequent_shingles(keyed, shingle)
+    rows = common.stored(prefixes(keyed, often, shingle, similarity), "simhash-prefixes")
+    texts = rows.groupBy("tid").agg(F.first("fp").alias("fp"), F.first("size").alias("size"), F.first("prefix").alias("prefix"))
+    live = texts.withColumn("root", F.col("tid"))
+    seen = links = sets = roots = None
+    for step in range(FORESTS + 1):
+        found = common.checkpoint(candidate_pairs(live, often, counts, similarity, max_diff, step if step < FORESTS else None))
+        ends = found.select(F.explode(F.array("a", "b")).alias("tid")).distinct()
+        if step == 0:  # a text without a candidate now has none later
+            linked = common.checkpoint(ends.join(nodes, "tid").select("tid", F.col("first_doc").alias("doc")))
+            own = keyed.join(linked.hint("shuffle_hash"), ["tid", "doc"]).dropDuplicates(["tid", "doc"])
+            sets = common.stored(shingle_sets(own, shingle), "simhash-sets")
+            texts = common.stored(texts.join(linked.select("tid"), "tid"), "simhash-linked")
+        fresh = found if seen is None else common.checkpoint(found.join(seen, ["a", "b"], "left_anti"))
+        passed = similar_pairs(fresh, sets, similarity)
+        links = common.checkpoint(passed if links is None else links.unionByName(passed))
+        roots = common.checkpoint(connected_components(links, "a", "b"))
+        if step == FORESTS or found.isEmpty():
+            break
+        seen = fresh if seen is None else seen.unionByName(fresh)
+        named = lambda df: df.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
+        open_roots = named(ends).select("root").distinct()
+        live = named(texts).join(open_roots, "root", "left_semi")
+    return roots
+
+
+def drop_near_duplicates(
+    docs: DataFrame, shingle: int, max_diff: int | None = None, similarity: float = SIMILARITY, id_col: str = "doc_id", text_col: str = "text"
+) -> DataFrame:
+    """The rows of ``docs`` that stay: of each group the one of least id.
+
+    Groups are the components of the pairs whose shingle sets have Jaccard ``similarity`` or
+    more and, with ``max_diff``, whose fingerprints are within that many bits. Texts without a
+    word are copies of each other; of repeated rows of one id and text one stays.
+    """
+    names = docs.columns
+    keyed = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(-(2**63))).alias("doc"), F.xxhash64(text_col).alias("tid"), F.col(text_col).alias("text"))
+    nodes = common.checkpoint(keyed.groupBy("tid").agg(F.min("doc").alias("first_doc"), F.count("*").alias("n"), F.count_distinct("doc").alias("ids")))
+    roots = similar_components(keyed, nodes, shingle, max_diff, similarity)
     named = nodes.join(roots, nodes["tid"] == roots["node"], "left").select("tid", "first_doc", F.coalesce("root", "tid").alias("root"))
     keeper = named.groupBy("root").agg(F.min(F.struct("first_doc", "tid")).alias("k")).select(F.col("k.first_doc").alias("_sim_doc"), F.col("k.tid").alias("_sim_tid"))
     own = (F.coalesce(docs[id_col].cast("bigint"), F.lit(-(2**63))) == keeper["_sim_doc"]) & (F.xxhash64(docs[text_col]) == keeper["_sim_tid"])

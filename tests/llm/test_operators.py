@@ -199,6 +199,39 @@ def test_near_duplicates_keep_one(spark, docs):
     assert simhash.drop_near_duplicates(docs, 5, 8).where("doc_id = 8").count() == 1
 
 
+def _brute_kept(rows, shingle, max_diff, similarity=0.8):
+    """Least id of each component of all pairs, by plain loops."""
+    sets = {d: set(simhash.shingle_set(t, shingle).tolist()) for d, t in rows}
+    codes = {d: simhash.fingerprint(t, shingle) for d, t in rows}
+    root = {d: d for d, _ in rows}
+    for i, (a, _) in enumerate(rows):
+        for b, _ in rows[:i]:
+            near = max_diff is None or (codes[a] ^ codes[b]).bit_count() <= max_diff
+            if near and len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b]):
+                x, y = sorted((root[a], root[b]))
+                root = {d: x if r == y else r for d, r in root.items()}
+    return sorted(set(root.values()))
+
+
+def _edited_copies(seed, groups, copies, edits):
+    rng = np.random.default_rng(seed)
+    rows = []
+    for g in range(groups):
+        base = [f"g{g}w{i}" for i in range(120)]
+        for _ in range(copies):
+            words = list(base)
+            for at in rng.choice(120, rng.integers(0, edits + 1), replace=False):
+                words[at] = f"x{rng.integers(1 << 30)}"
+            rows.append((len(rows), " ".join(words)))
+    return rows
+
+
+def test_every_candidate_within_the_radius_is_verified(spark):
+    rows = _edited_copies(5, 6, 25, 6)
+    got = simhash.drop_near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), 5, 8)
+    assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, 8)
+
+
 def test_winnowing(spark, docs, empty):
     got = {r["doc_id"]: r for r in winnow.document_fingerprints(docs).collect()}
     assert got[4]["fingerprint"] == got[5]["fingerprint"] == [] and len(got[8]["fingerprint"]) == 1 and "key" in got[8]
