@@ -1,6 +1,8 @@
 import re
 
 import corpus_pipeline
+from fragmap.llm import simhash
+from test_operators import _brute_kept, _edited_copies
 
 
 def test_pipeline_decisions_against_plain_checks(spark, sf):
@@ -21,3 +23,11 @@ def test_pipeline_decisions_against_plain_checks(spark, sf):
     assert not [x for x, d in lines.items() if len(x) >= 20 and len(d) >= 3]
     assert sum(bool(re.search(r"\b(idiot|moron|scum)\b", t.lower())) for t in texts) <= 2
     assert len(out) > 0.6 * len(docs)
+
+
+def test_near_copies_are_found_at_any_distance(spark):
+    rows = _edited_copies(7, 8, 8, 3)
+    far = [(simhash.fingerprint(a, 5) ^ simhash.fingerprint(b, 5)).bit_count() for i, (_, a) in enumerate(rows) for _, b in rows[i // 8 * 8 : i]]
+    assert max(far) > 8
+    got = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "")
+    assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, None)
