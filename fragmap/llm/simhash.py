@@ -34,8 +34,8 @@ SHINGLE = 4
 MAX_DIFF = 4
 SEED = 42
 GROUP = 1024
-SKETCH = 256
 PART = 16
+BITMAP = 2048
 OFTEN = 8
 PAIRS = 1_000_000
 FORESTS = 2
@@ -200,7 +200,7 @@ def frequent_shingles(texts: DataFrame, shingle: int) -> tuple[np.ndarray, np.nd
 
 
 def prefixes(texts: DataFrame, often: np.ndarray, shingle: int, similarity: float) -> DataFrame:
-    """doc, tid, fp, the number of distinct shingles and those of the prefix.
+    """doc, tid, fp, the number of distinct shingles, those of the prefix and a bitmap of all.
 
     In any one order of all shingles, two sets of Jaccard ``similarity`` or more share one
     among their first ``prefix_size``; frequent shingles come last in this order.
@@ -210,22 +210,25 @@ def prefixes(texts: DataFrame, often: np.ndarray, shingle: int, similarity: floa
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         often = shared.value
         for batch in batches:
-            codes, sizes, firsts = [], [], []
+            codes, sizes, firsts, maps = [], [], [], []
             for t in batch.column("text"):
                 hashes = shingle_hashes(t.as_py(), shingle)
                 codes.append(majority(hashes))
                 own = np.unique(np.ascontiguousarray(hashes).view(">u8").ravel().astype(np.uint64))
                 sizes.append(len(own))
+                bits = np.zeros(BITMAP, np.uint8)
+                bits[(own % np.uint64(BITMAP)).astype(np.int64)] = 1
+                maps.append(np.packbits(bits).view(np.int64))
                 if len(often) and len(own):
                     late = often[np.minimum(np.searchsorted(often, own), len(often) - 1)] == own
                     own = np.concatenate([own[~late], own[late]])
                 firsts.append((own[: prefix_size(len(own), similarity)] if len(own) else np.zeros(1, np.uint64)).view(np.int64))
             yield pa.record_batch(
-                [batch.column("doc"), batch.column("tid"), pa.array(np.array(codes, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(firsts, pa.list_(pa.int64()))],
-                ["doc", "tid", "fp", "size", "prefix"],
+                [batch.column("doc"), batch.column("tid"), pa.array(np.array(codes, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(firsts, pa.list_(pa.int64())), pa.array(maps, pa.list_(pa.int64()))],
+                ["doc", "tid", "fp", "size", "prefix", "bitmap"],
             )
 
-    return texts.mapInArrow(run, "doc bigint, tid bigint, fp bigint, size int, prefix array<bigint>")
+    return texts.mapInArrow(run, "doc bigint, tid bigint, fp bigint, size int, prefix array<bigint>, bitmap array<bigint>")
 
 
 def candidate_pairs(
@@ -305,25 +308,31 @@ def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None,
 
 
 def shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
-    """(tid, shingles): the ``SKETCH`` least shingle hashes of each text."""
+    """(tid, shingles): all distinct shingle hashes of each text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sets = [shingle_set(t.as_py(), shingle)[:SKETCH].view(np.int64) for t in batch.column("text")]
+            sets = [shingle_set(t.as_py(), shingle).view(np.int64) for t in batch.column("text")]
             yield pa.record_batch([batch.column("tid"), pa.array(sets, pa.list_(pa.int64()))], ["tid", "shingles"])
 
     return texts.select("tid", "text").mapInArrow(run, "tid bigint, shingles array<bigint>")
 
 
+def possible_pairs(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
+    """The (a, b) that their bitmaps leave possible: as many shingles differ as bits do, or more."""
+    own = texts.select("tid", "size", "bitmap")
+    first = pairs.withColumnRenamed("a", "tid").join(own, "tid").select(F.col("tid").alias("a"), F.col("b").alias("tid"), F.col("size").alias("m"), F.col("bitmap").alias("x"))
+    bits = F.aggregate(F.zip_with("x", "bitmap", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, n: s + n)
+    both = F.col("m") + F.col("size")
+    return first.join(own, "tid").where((1 + similarity) * (both - bits) / 2 >= similarity * both - 1e-6).select("a", F.col("tid").alias("b"))
+
+
 def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """The (a, b) whose shingle sets have Jaccard ``similarity`` or more, or are both empty."""
-    least = F.slice(F.array_sort(F.array_union("x", "y")), 1, SKETCH)
-    share = F.size(F.array_intersect(least, F.array_intersect("x", "y"))) / F.greatest(F.size(least), F.lit(1))
-    return (
-        pairs.join(sets.select(F.col("tid").alias("a"), F.col("shingles").alias("x")), "a")
-        .join(sets.select(F.col("tid").alias("b"), F.col("shingles").alias("y")), "b")
-        .where((share >= similarity) | (F.size("x") + F.size("y") == 0)).select("a", "b")
-    )
+    first = pairs.withColumnRenamed("a", "tid").join(sets, "tid").select(F.col("tid").alias("a"), F.col("b").alias("tid"), F.col("shingles").alias("x"))
+    both = F.size(F.array_intersect("x", "shingles"))
+    either = F.size("x") + F.size("shingles") - both
+    return first.join(sets, "tid").where((either == 0) | (both / F.greatest(either, F.lit(1)) >= similarity)).select("a", F.col("tid").alias("b"))
 
 
 def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_diff: int | None, similarity: float) -> DataFrame:
@@ -331,31 +340,41 @@ def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_dif
 
     Every candidate is verified or lies inside a component already. A few rounds verify only
     links that join components, so that a large group is joined without its pairs; the last
-    round takes every candidate left between different components.
+    round takes every candidate left between different components. Shuffle files of a step
+    are let go before the next.
     """
+    free = keyed.sparkSession._jvm.java.lang.System.gc
     often, counts = frequent_shingles(keyed, shingle)
-    rows = common.stored(prefixes(keyed, often, shingle, similarity), "simhash-prefixes")
-    texts = rows.groupBy("tid").agg(F.first("fp").alias("fp"), F.first("size").alias("size"), F.first("prefix").alias("prefix"))
+    rows = prefixes(keyed, often, shingle, similarity)
+    texts = rows.groupBy("tid").agg(*[F.first(c).alias(c) for c in ("fp", "size", "prefix", "bitmap")])
+    texts = common.stored(texts, "simhash-prefixes")
     live = texts.withColumn("root", F.col("tid"))
-    seen = links = sets = roots = None
+    seen = links = roots = None
     for step in range(FORESTS + 1):
+        free()
         found = common.checkpoint(candidate_pairs(live, often, counts, similarity, max_diff, step if step < FORESTS else None))
+        free()
         ends = found.select(F.explode(F.array("a", "b")).alias("tid")).distinct()
         if step == 0:  # a text without a candidate now has none later
-            linked = common.checkpoint(ends.join(nodes, "tid").select("tid", F.col("first_doc").alias("doc")))
-            own = keyed.join(linked.hint("shuffle_hash"), ["tid", "doc"]).dropDuplicates(["tid", "doc"])
+            texts = common.stored(texts.join(ends, "tid"), "simhash-linked")
+        fresh = found if seen is None else found.join(seen, ["a", "b"], "left_anti")
+        fresh = common.checkpoint(possible_pairs(fresh, texts, similarity))
+        asked = fresh.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
+        own = keyed.join(asked.hint("shuffle_hash"), ["tid", "doc"]).dropDuplicates(["tid", "doc"])
+        passed = links
+        if not fresh.isEmpty():
             sets = common.stored(shingle_sets(own, shingle), "simhash-sets")
-            texts = common.stored(texts.join(linked.select("tid"), "tid"), "simhash-linked")
-        fresh = found if seen is None else common.checkpoint(found.join(seen, ["a", "b"], "left_anti"))
-        passed = similar_pairs(fresh, sets, similarity)
-        links = common.checkpoint(passed if links is None else links.unionByName(passed))
+            free()
+            passed = similar_pairs(fresh, sets, similarity)
+            passed = passed if links is None else links.unionByName(passed)
+        links = common.checkpoint(fresh if passed is None else passed)
         roots = common.checkpoint(connected_components(links, "a", "b"))
         if step == FORESTS or found.isEmpty():
             break
-        seen = fresh if seen is None else seen.unionByName(fresh)
+        seen = found if seen is None else seen.unionByName(found)
         named = lambda df: df.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
-        open_roots = named(ends).select("root").distinct()
-        live = named(texts).join(open_roots, "root", "left_semi")
+        live = named(texts).join(named(ends).select("root").distinct(), "root", "left_semi")
+    free()
     return roots
 
 

@@ -232,6 +232,26 @@ def test_every_candidate_within_the_radius_is_verified(spark):
     assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, 8)
 
 
+def test_long_texts_are_compared_by_all_shingles(spark):
+    rows = []
+    for seed in range(400):
+        rng = np.random.default_rng(seed)
+        words = [f"s{seed}w{i}" for i in range(1200)]
+        other = list(words)
+        for at in range(0, 1200, 1200 // 32):
+            other[at] = f"x{rng.integers(1 << 40)}"
+        x, y = (simhash.shingle_set(" ".join(t), 5) for t in (words, other))
+        share = len(np.intersect1d(x, y)) / len(np.union1d(x, y))
+        least = np.union1d(x, y)[:256]
+        guess = np.isin(least, np.intersect1d(x, y)).mean()
+        near = (simhash.fingerprint(" ".join(words), 5) ^ simhash.fingerprint(" ".join(other), 5)).bit_count() <= 8
+        if near and (guess >= 0.8) != (share >= 0.8):
+            rows += [(len(rows), " ".join(words)), (len(rows) + 1, " ".join(other))]
+    assert rows
+    got = simhash.drop_near_duplicates(spark.createDataFrame(rows, "doc_id bigint, text string"), 5, 8)
+    assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, 8)
+
+
 def test_winnowing(spark, docs, empty):
     got = {r["doc_id"]: r for r in winnow.document_fingerprints(docs).collect()}
     assert got[4]["fingerprint"] == got[5]["fingerprint"] == [] and len(got[8]["fingerprint"]) == 1 and "key" in got[8]
