@@ -1,6 +1,7 @@
 """Document fingerprints by winnowing. DataFrame functions only.
 
-Units are runs of at most ``UNIT_CHARS`` characters without white space. Hashes of
+Units are runs of at most ``UNIT_CHARS`` characters without white space, and the single
+characters of longer runs, so that units do not depend on where a run begins. Hashes of
 ``GRAM`` consecutive units are taken at every position; of each ``WINDOW``
 consecutive hashes the least is selected, the rightmost of equal ones, with its
 position. Two texts sharing ``GRAM + WINDOW - 1`` consecutive units therefore share
@@ -23,7 +24,7 @@ from fragmap.llm import common
 
 UNIT_CHARS = 12
 GRAM = 3
-WINDOW = 8
+WINDOW = 6
 ID_RANGES = 256
 _LOWEST = -(2**63)
 _LOW = 2**32 - 1
@@ -31,7 +32,7 @@ _LOW = 2**32 - 1
 
 def selected(text: Column, gram: int = GRAM, window: int = WINDOW) -> Column:
     """array<bigint>, each hash << 32 | (2**32 - 1 - position), in order of position."""
-    units = F.regexp_extract_all(text, F.lit(r"([^\s]{1,%d})" % UNIT_CHARS), 1)
+    units = F.regexp_extract_all(text, F.lit(r"((?<!\S)\S{1,%d}(?!\S)|\S)" % UNIT_CHARS), 1)
 
     def grams(us: Column) -> Column:
         last = F.greatest(F.size(us) - gram, F.lit(0))

@@ -264,6 +264,18 @@ def test_winnowing(spark, docs, empty):
     assert winnow.edited_fingerprints(docs).count() == len(ROWS) and winnow.edited_fingerprints(empty).count() == 0
 
 
+def test_winnowing_finds_short_passages_and_any_offset(spark):
+    pairs = []
+    for seed in range(30):
+        w = [f"s{seed}w{i}" for i in range(8)]
+        pairs.append((f"{' '.join(f'a{seed}u{i}' for i in range(20))} {' '.join(w)}", f"{' '.join(w)} {' '.join(f'b{seed}u{i}' for i in range(20))}"))
+    run = "".join(chr(0x4E00 + i * 7) for i in range(60))
+    pairs.append((run, "五" + run))
+    df = spark.createDataFrame([(i, t) for p in pairs for i, t in enumerate(p)], "doc_id bigint, text string").coalesce(1)
+    got = [{h for h, _ in r["fingerprint"]} for r in winnow.document_fingerprints(df).collect()]
+    assert all(a & b for a, b in zip(got[::2], got[1::2]))
+
+
 def test_license_scan(docs, spark, empty):
     got = {r["doc_id"]: r for r in licenses.license_scan(docs).collect()}
     assert got[7]["labels"] == "mit" and got[7]["first_word"] == 1 and got[7]["n_base"] == 1 and got[4]["n_words"] == 0 and got[6]["n_words"] == 3000
