@@ -9,7 +9,10 @@ windows, deepest level first, without a pass over the text in order. A predictio
 mixes the estimates along a path with the weights that the counts leave them.
 
 A window packs the byte in its lowest eight bits and the bytes before it above, the
-nearest lowest. A text ends with a zero byte and is preceded by zero bytes.
+nearest lowest. A text ends with a zero byte and is preceded by zero bytes. Windows
+whose nearest ``d`` context bytes are equal share a subtree below depth d and nothing
+else does, so subtrees are built apart: ``lower_levels`` makes one set of subtrees and
+the sums that its parents need, ``upper_levels`` the nodes above from those sums.
 """
 
 from __future__ import annotations
@@ -21,6 +24,10 @@ import numpy as np
 BITS = 8
 _LGAMMA = np.array([lgamma(k + 0.5) for k in range(4096)])
 _LFACT = np.array([lgamma(k + 1.0) for k in range(4096)])
+#: (depth, bit): node numbers in order, weight of each node's own estimate, its chance of a one.
+Levels = dict[tuple[int, int], tuple[np.ndarray, np.ndarray, np.ndarray]]
+#: bit: node numbers in order, their bits, their ones, the sum of their children's weighted logs.
+Sums = dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]
 
 
 def _log_gamma(x: np.ndarray, table: np.ndarray, shift: float) -> np.ndarray:
@@ -70,95 +77,79 @@ def counted(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndar
     return keys[first], np.add.reduceat(counts, first)
 
 
-class ContextTree:
-    """``nodes[d][j]``: (sorted node numbers, weight of the node's own estimate, its chance of a one)."""
-
-    def __init__(self, keys: np.ndarray, counts: np.ndarray, depth: int):
-        self.depth = depth
-        self.nodes: list[list[tuple[np.ndarray, np.ndarray, np.ndarray]]] = [[] for _ in range(depth + 1)]
-        below: list = [None] * BITS
-        keys, counts = counted(np.asarray(keys, np.uint64), np.asarray(counts, np.int64))
+def _low(bits: int) -> np.uint64:
+    return np.uint64((1 << bits) - 1)
+
+
+def _summed(number: np.ndarray, *columns: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Distinct numbers in order and the sums of the columns over each."""
+    if not len(number):
+        return (number, *columns)
+    order = np.argsort(number, kind="stable")
+    number = number[order]
+    first = np.flatnonzero(np.concatenate([[True], number[1:] != number[:-1]]))
+    return (number[first], *(np.add.reduceat(c[order], first) for c in columns))
+
+
+def _node(total: np.ndarray, ones: np.ndarray, rest: np.ndarray | None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Weighted log, weight of the own estimate and chance of a one; ``rest`` is None at the deepest level."""
+    own = log_kt(total - ones, ones)
+    one = (ones + 0.5) / (total + 1)
+    if rest is None:
+        return own, np.ones(len(own)), one
+    return np.logaddexp(own, rest) - np.log(2), np.exp(-np.logaddexp(0, rest - own)), one
+
+
+def _climb(levels: Levels, depth: int, j: int, sums: tuple, leaf: bool) -> tuple[np.ndarray, ...]:
+    """Adds the nodes of ``depth`` from their sums; returns the sums of their parents."""
+    number, total, ones, rest = sums
+    log, share, one = _node(total, ones, None if leaf else rest)
+    levels[depth, j] = (number, share, one)
+    if not depth:
+        return number, total, ones, log
+    parent = (((number >> np.uint64(j)) & _low(BITS * (depth - 1))) << np.uint64(j)) | (number & _low(j))
+    return _summed(parent, total, ones, log)
+
+
+def lower_levels(keys: np.ndarray, counts: np.ndarray, depth: int, top: int = 0) -> tuple[Levels, Sums]:
+    """Nodes of depths ``top`` to ``depth``, and the sums of their parents (at ``top`` 0: of the roots themselves)."""
+    levels: Levels = {}
+    sums: Sums = {}
+    keys, counts = np.asarray(keys, np.uint64), np.asarray(counts, np.int64)
+    keys, counts = keys[counts > 0], counts[counts > 0]
+    for j in range(BITS):
+        one = ((keys >> np.uint64(BITS - 1 - j)) & np.uint64(1)).astype(np.int64)
+        at = (*_summed(keys >> np.uint64(BITS - j), counts, counts * one), None)
+        for d in range(depth, top - 1, -1):
+            at = _climb(levels, d, j, at, d == depth)
+        sums[j] = at
+    return levels, sums
+
+
+def upper_levels(sums: Sums, top: int) -> Levels:
+    """Nodes of all depths below ``top`` from the sums of depth ``top`` - 1, each number once a bit."""
+    levels: Levels = {}
+    for j in range(BITS):
+        at = sums.get(j, (np.empty(0, np.uint64), np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0)))
+        for d in range(top - 1, -1, -1):
+            at = _climb(levels, d, j, at, False)
+    return levels
+
+
+def log10_chances(levels: Levels, depth: int, keys: np.ndarray) -> np.ndarray:
+    """log10 of the chance of each window's byte after its context; a node never met says 1/2."""
+    out = np.zeros(len(keys))
+    for j in range(BITS):
+        chance = np.full(len(keys), 0.5)
+        bit = ((keys >> np.uint64(BITS - 1 - j)) & np.uint64(1)).astype(bool)
         for d in range(depth, -1, -1):
-            if d < depth:
-                keys, counts = counted(keys & np.uint64((1 << (BITS * (d + 1))) - 1), counts)
-            for j in range(BITS):
-                of = keys >> np.uint64(BITS - j)
-                ones = np.where((keys >> np.uint64(BITS - 1 - j)) & np.uint64(1), counts, 0)
-                first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]])) if len(of) else np.empty(0, np.int64)
-                number = of[first]
-                total = np.add.reduceat(counts, first) if len(first) else np.empty(0, np.int64)
-                b = np.add.reduceat(ones, first) if len(first) else np.empty(0, np.int64)
-                own = log_kt(total - b, b)
-                if d == depth:
-                    weighted, share = own, np.ones(len(own))
-                else:
-                    child, child_log = below[j]
-                    low = np.uint64((1 << j) - 1)
-                    up = (((child >> np.uint64(j)) & np.uint64((1 << (BITS * d)) - 1)) << np.uint64(j)) | (child & low)
-                    rest = np.bincount(np.searchsorted(number, up), child_log, len(number))
-                    weighted = np.logaddexp(own, rest) - np.log(2)
-                    share = np.exp(-np.logaddexp(0, rest - own))
-                below[j] = (number, weighted)
-                self.nodes[d].append((number, share.astype(np.float32), ((b + 0.5) / (total + 1)).astype(np.float32)))
-        self.log_block = sum(float(b[1][0]) if len(b[1]) else 0.0 for b in below)
-
-    def log10(self, keys: np.ndarray) -> np.ndarray:
-        """log10 of the chance of each window's byte after its context."""
-        out = np.zeros(len(keys))
-        for j in range(BITS):
-            chance = np.full(len(keys), 0.5)
-            bit = ((keys >> np.uint64(BITS - 1 - j)) & np.uint64(1)).astype(bool)
-            for d in range(self.depth, -1, -1):
-                number, share, one = self.nodes[d][j]
-                if not len(number):
-                    continue
-                of = (keys & np.uint64((1 << (BITS * (d + 1))) - 1)) >> np.uint64(BITS - j)
-                at = np.minimum(np.searchsorted(number, of), len(number) - 1)
-                here = number[at] == of
-                p = np.where(bit, one[at], 1 - one[at])
-                chance = np.where(here, share[at] * p + (1 - share[at]) * chance, chance)
-            out += np.log10(chance)
-        return out
-
-
-class WindowScores:
-    """Scores of known windows by hashing, of others by the tree, each distinct window once a call."""
-
-    def __init__(self, tree: ContextTree, keys: np.ndarray):
-        self.tree = tree
-        size = 1 << max(4, int(2 * len(keys)).bit_length())
-        self.mask = np.uint64(size - 1)
-        self.slots, self.values = np.full(size, ~np.uint64(0), np.uint64), np.zeros(size, np.float32)
-        keys = np.asarray(keys, np.uint64)
-        scores = np.concatenate([tree.log10(keys[i : i + 200_000]) for i in range(0, len(keys), 200_000)] or [np.empty(0)]).astype(np.float32)
-        at = self._home(keys)
-        while len(keys):
-            free = self.slots[at] == ~np.uint64(0)
-            self.slots[at[free]] = keys[free]  # of several that meet the last stays
-            placed = self.slots[at] == keys
-            self.values[at[placed]] = scores[placed]
-            keys, scores, at = keys[~placed], scores[~placed], (at[~placed] + 1) & int(self.mask)
-
-    def _home(self, keys: np.ndarray) -> np.ndarray:
-        with np.errstate(over="ignore"):
-            return ((keys * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(20)).astype(np.int64) & int(self.mask)
-
-    def log10(self, keys: np.ndarray) -> np.ndarray:
-        at = self._home(keys)
-        found = self.slots[at]
-        out = self.values[at].astype(np.float64)
-        live = np.flatnonzero(found != keys)
-        lost = []
-        at = at[live]
-        while len(live):
-            got = self.slots[at]
-            hit, none = got == keys[live], got == ~np.uint64(0)
-            out[live[hit]] = self.values[at[hit]]
-            lost.append(live[none])
-            on = ~hit & ~none
-            live, at = live[on], (at[on] + 1) & int(self.mask)
-        lost = np.concatenate(lost) if lost else np.empty(0, np.int64)
-        if len(lost):
-            unseen, which = np.unique(keys[lost], return_inverse=True)
-            out[lost] = self.tree.log10(unseen)[which]
-        return out
+            number, share, one = levels[d, j]
+            if not len(number):
+                continue
+            of = (keys & _low(BITS * (d + 1))) >> np.uint64(BITS - j)
+            at = np.minimum(np.searchsorted(number, of), len(number) - 1)
+            here = number[at] == of
+            p = np.where(bit, one[at], 1 - one[at])
+            chance = np.where(here, share[at] * p + (1 - share[at]) * chance, chance)
+        out += np.log10(chance)
+    return out

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 
 from fragmap.llm import (
-    context_tree, decontaminate, gray_index, licenses, line_dedup, lm_score, pieces, sharding, simhash, token_counts, toxicity, winnow,
+    decontaminate, gray_index, licenses, line_dedup, pieces, sharding, simhash, token_counts, toxicity, winnow,
 )
 
 LINE = "This line is long enough to be a key."
@@ -80,36 +80,6 @@ def test_token_counts(spark, docs, empty):
     assert token_counts.length_histogram(token_counts.token_lengths(empty)).count() == 0
 
 
-def test_context_tree_is_a_distribution_and_prefers_what_it_saw():
-    texts = [b"abracadabra" * 20, b"", b"abc"]
-    keys, starts = context_tree.windows(texts, 3)
-    assert starts.tolist() == [0, 221, 222, 226]
-    u, n = context_tree.counted(keys)
-    tree = context_tree.ContextTree(u, n, 3)
-    for ctx in (u[0] & ~np.uint64(255), np.uint64(0x7A7A7A00)):
-        assert sum(10 ** tree.log10(np.array([ctx | np.uint64(v) for v in range(256)], np.uint64))) == pytest.approx(1, abs=1e-5)
-    seen, other = (context_tree.windows([t], 3)[0] for t in (b"abracadabra", b"zqxjkvbpwyz"))
-    scorer = context_tree.WindowScores(tree, u)
-    assert scorer.log10(seen).sum() > scorer.log10(other).sum()
-    assert np.allclose(scorer.log10(other), tree.log10(other))
-    # one binary tree by hand: KT of the first bit at depth 0
-    assert context_tree.log_kt(np.array([1]), np.array([1]))[0] == pytest.approx(math.log(1 / 8))
-
-
-def test_lm_score_base(docs, empty):
-    rows = docs.select("doc_id", "text")
-    got = lm_score.score_texts(rows, lm_score.fit(rows.where(~lm_score.held_out()))).collect()
-    tokens = lambda t: [*(t or "").encode().lower().split(), b""]
-    out = lambda d: d is not None and zlib.crc32(str(d).encode()) % 5 == 1
-    c = Counter(w for d, t in ROWS if not out(d) for w in tokens(t))
-    n, v = sum(c.values()), len(c)
-    want = sorted((d or -1, out(d), len(tokens(t)), sum(w in c for w in tokens(t)), round(sum(math.log10((c[w] + 0.5) / (n + 0.5 * (v + 1))) for w in tokens(t)), 6)) for d, t in ROWS)
-    assert sorted((r["doc_id"] or -1, r["held_out"], r["n_tokens"], r["n_known"], round(r["base_score"], 6)) for r in got) == want
-    assert {r["train_tokens"] for r in got} == {n} and all(r["score"] < 0 for r in got)
-    blank = empty.select("doc_id", "text")
-    assert lm_score.score_texts(blank, lm_score.fit(blank)).count() == 0
-
-
 def test_toxicity(spark, docs):
     bad = ["you awful thing", "so awful. fine day", "what an awful day"] * 20
     good = ["a fine day", "some long text. with parts", "nothing here"] * 20
