@@ -44,8 +44,9 @@ DEPTH = 5
 SPLIT = 3
 BLOCK_BYTES = 32 << 20
 PIECE_BYTES = 4 << 20
-CHUNK_BYTES = 2 << 20
-HOLD = 2_000_000
+CHUNK_BYTES = 4 << 20
+CHUNK_TEXTS = 1 << 16
+HOLD = 1_000_000
 FOLDS = 5
 HELD_OUT = 1
 TEXTS, WINDOWS, WORDS = 0, 1, 2
@@ -95,7 +96,7 @@ def _chunks(texts: list[bytes]) -> Iterator[list[bytes]]:
     for t in texts:
         part.append(t)
         size += len(t) + 1
-        if size >= CHUNK_BYTES:
+        if size >= CHUNK_BYTES or len(part) == CHUNK_TEXTS:
             yield part
             part, size = [], 0
     if part:
@@ -126,6 +127,33 @@ def _window_counts(texts: list[bytes], learn: list[bool], depth: int) -> tuple[n
     return merged(held)
 
 
+def _distinct_windows(texts: list[bytes], depth: int) -> np.ndarray:
+    found = np.empty(0, np.uint64)
+    for chunk in _chunks(texts):
+        found = counted(np.concatenate([found, counted(windows(chunk, depth)[0])[0]]))[0]
+    return found
+
+
+class Vocabulary:
+    """Words of a block's normalised texts: distinct ones by hash bucket and in order, and each token's place among them."""
+
+    def __init__(self, texts: list[bytes], buckets: int):
+        # a space after the last word leaves an empty word there, which is the end
+        split = pc.split_pattern(pa.array([t + b" " if t else b"" for t in texts], pa.large_binary()), " ")
+        self.n_tokens = np.diff(split.offsets.to_numpy()).astype(np.int64)
+        coded = split.flatten().dictionary_encode()
+        bucket = np.fromiter(map(zlib.crc32, coded.dictionary.to_pylist()), np.int64, len(coded.dictionary)) % buckets
+        rank = np.empty(len(bucket), np.int64)
+        rank[pc.sort_indices(coded.dictionary).to_numpy()] = np.arange(len(bucket))
+        order = np.lexsort((rank, bucket))
+        place = np.empty(len(order), np.int32)
+        place[order] = np.arange(len(order), dtype=np.int32)
+        self.words = coded.dictionary.take(pa.array(order))
+        self.tokens = place[coded.indices.to_numpy()]
+        self.buckets, starts = np.unique(bucket[order], return_index=True)
+        self.cuts = list(zip(starts.tolist(), [*starts[1:].tolist(), len(order)]))
+
+
 def _ask(block: int, docs: list[tuple], buckets: int, depth: int) -> Iterator[pa.RecordBatch]:
     """A block's rows: its texts in pieces, and per bucket its distinct windows and words with their training counts."""
 
@@ -136,12 +164,7 @@ def _ask(block: int, docs: list[tuple], buckets: int, depth: int) -> Iterator[pa
             ["kind", "block", "bucket", "keys", "counts"],
         )
 
-    texts, learn, vocabulary, tokens = [], [], {b"": 0}, []
-    for _, text, out in docs:
-        words = words_of(text)
-        tokens.append(np.array([vocabulary.setdefault(w, len(vocabulary)) for w in words] + [0], np.int32))
-        texts.append(b" ".join(words))
-        learn.append(not out)
+    texts, learn = [b" ".join(words_of(t)) for _, t, _ in docs], [not out for *_, out in docs]
     first = number = 0
     while first < len(docs):
         end = first
@@ -159,20 +182,10 @@ def _ask(block: int, docs: list[tuple], buckets: int, depth: int) -> Iterator[pa
     own, starts = np.unique(of[order], return_index=True)
     cuts = list(zip(starts.tolist(), [*starts[1:].tolist(), len(keys)]))
     yield rows(WINDOWS, own.tolist(), [pack_sorted(keys[a:b]) for a, b in cuts], [pack(n[a:b]) for a, b in cuts])
-    del keys, n, of, order, texts
-    seen = [t for t, x in zip(tokens, learn) if x]
-    times = np.bincount(np.concatenate(seen), minlength=len(vocabulary)) if seen else np.zeros(len(vocabulary), np.int64)
-    asked = _words_by_bucket(vocabulary, buckets)
-    yield rows(WORDS, list(asked), [zip_bytes(b"\n".join(w)) for w in asked.values()], [pack(times[[vocabulary[x] for x in w]].astype(np.int64)) for w in asked.values()])
-
-
-def _words_by_bucket(vocabulary, buckets: int) -> dict[int, list[bytes]]:
-    """The distinct words of a block by bucket, in order; the end is the word of no bytes."""
-    out: dict[int, list[bytes]] = {}
-    crc = zlib.crc32
-    for w in sorted(vocabulary):
-        out.setdefault(crc(w) % buckets, []).append(w)
-    return dict(sorted(out.items()))
+    del keys, n, of, order
+    known = Vocabulary(texts, buckets)
+    times = np.bincount(known.tokens[np.repeat(np.array(learn), known.n_tokens)], minlength=len(known.words)).astype(np.int64)
+    yield rows(WORDS, known.buckets.tolist(), [zip_bytes(b"\n".join(known.words[a:b].to_pylist())) for a, b in known.cuts], [pack(times[a:b]) for a, b in known.cuts])
 
 
 def questions(docs: DataFrame, buckets: int, depth: int) -> DataFrame:
@@ -316,6 +329,20 @@ def word_answers(asked: DataFrame) -> DataFrame:
     return rows.groupBy("bucket").applyInArrow(run, "kind int, block bigint, bucket int, keys binary, total bigint, kinds bigint")
 
 
+def _chunk_scores(texts: list[bytes], keys: np.ndarray, value: np.ndarray, depth: int) -> np.ndarray:
+    """The sum of each text's window values; windows are sorted with their text's number beside them where 64 bits hold both."""
+    own, starts = windows(texts, depth)
+    text = np.repeat(np.arange(len(texts), dtype=np.uint64), np.diff(starts))
+    if BITS * (depth + 1) + 16 <= 64:
+        own = np.sort((own << np.uint64(16)) | text)
+        own, text = own >> np.uint64(16), own & np.uint64(0xFFFF)
+    else:
+        order = np.argsort(own)
+        own, text = own[order], text[order]
+    here, times = counted(own)
+    return np.bincount(text.astype(np.int64), np.repeat(value[np.searchsorted(keys, here)], times), len(texts))
+
+
 def _score_block(part: pa.Table, buckets: int, depth: int, total: int, kinds: int) -> pa.Table:
     """The rows of a block's texts from its pieces and the answers to it."""
     rows: dict[int, dict[int, bytes]] = {TEXTS: {}, WINDOWS: {}, WORDS: {}}
@@ -323,25 +350,18 @@ def _score_block(part: pa.Table, buckets: int, depth: int, total: int, kinds: in
         rows[kind][bucket] = keys
     pieces = [pickle.loads(unzip_bytes(d.as_py())) for _, d in sorted(rows[TEXTS].items())]
     texts = [t for p in pieces for t in p[2]]
-    keys, _ = _window_counts(texts, [True] * len(texts), depth)
+    keys = _distinct_windows(texts, depth)
     order = np.argsort(bucket_of(keys, buckets), kind="stable")
-    value = np.empty(len(keys), np.float32)
+    value = np.empty(len(keys), np.float64)
     value[order] = np.concatenate([unpack(d.as_py(), np.float32) for _, d in sorted(rows[WINDOWS].items())])
-    score = []
-    for chunk in _chunks(texts):
-        own, starts = windows(chunk, depth)
-        here, back = np.unique(own, return_inverse=True)
-        score.append(np.add.reduceat(value[np.searchsorted(keys, here)].astype(np.float64)[back], starts[:-1]))
+    score = np.concatenate([_chunk_scores(chunk, keys, value, depth) for chunk in _chunks(texts)])
     del keys, value, order
-    tokens = [t.split() for t in texts]
-    asked = _words_by_bucket({b"", *(w for t in tokens for w in t)}, buckets)
-    count = {w: c for b, ws in asked.items() for w, c in zip(ws, unpack(rows[WORDS][b].as_py(), np.int64).tolist())}
-    n_tokens = np.array([len(t) + 1 for t in tokens], np.int64)
-    every = np.array([count[w] for t in tokens for w in (*t, b"")], np.int64)
+    known = Vocabulary(texts, buckets)
+    count = np.concatenate([unpack(d.as_py(), np.int64) for _, d in sorted(rows[WORDS].items())])
+    n_tokens = known.n_tokens
     starts = np.concatenate([[0], np.cumsum(n_tokens)[:-1]])
-    base = np.add.reduceat(np.log10(every + 0.5), starts) - n_tokens * math.log10(total + 0.5 * (kinds + 1))
-    known = np.add.reduceat((every > 0).astype(np.int64), starts)
-    score = np.concatenate(score)
+    base = np.add.reduceat(np.log10(count + 0.5)[known.tokens], starts) - n_tokens * math.log10(total + 0.5 * (kinds + 1))
+    known = np.add.reduceat((count > 0).astype(np.int64)[known.tokens], starts)
     size = np.array([len(t) + 1 for t in texts], np.int64)
     return pa.table({
         "doc_id": pa.array([d for p in pieces for d in p[0]], pa.int64()), "held_out": pa.array([not x for p in pieces for x in p[1]]),
