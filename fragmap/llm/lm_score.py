@@ -42,7 +42,7 @@ from fragmap.llm.context_tree import BITS, counted, log10_chances, lower_levels,
 
 DEPTH = 5
 SPLIT = 3
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 12 << 20
 PIECE_BYTES = 4 << 20
 CHUNK_BYTES = 4 << 20
 CHUNK_TEXTS = 1 << 16
