@@ -1,7 +1,7 @@
 """What the stored values say: numeric ranges, membership, and a prefix index of text.
 
-Each table is scanned once for all probes of a batch of questions. The text index holds
-distinct values and their distinct words, so its size follows vocabularies, not rows.
+Each table is scanned once for all probes of a batch of questions, and only words that a
+probe's stem begins leave the scan. The text index holds distinct words of distinct values.
 """
 
 from __future__ import annotations
@@ -15,6 +15,7 @@ from fragmap.catalog import NUMERIC, TEMPORAL, TEXT, Attribute, Catalog, table
 
 TOKEN_SPLIT = r"[^a-z0-9_#\-]+"
 PREFIX = 3
+MENTION = 200
 _PROFILE = "relation string, attribute string, func string, lo double, hi double"
 
 
@@ -64,24 +65,35 @@ def numeric_members(spark: SparkSession, sf_dir: str, catalog: Catalog, numbers:
     return reduce(DataFrame.unionByName, out)
 
 
-def text_values(spark: SparkSession, sf_dir: str, catalog: Catalog) -> DataFrame:
-    """(relation, attribute, value, n_rows) of distinct values of text attributes."""
+def text_cells(spark: SparkSession, sf_dir: str, catalog: Catalog) -> DataFrame:
+    """(relation, attribute, value) of every stored text cell; one scan per table, nothing is moved."""
     out = []
     for relation in catalog.relations:
         names = [a.name for a in catalog.of(relation) if a.kind == TEXT]
         if names:
             cells = F.array(*[F.struct(F.lit(n).alias("attribute"), F.col(n).alias("value")) for n in names])
             rows = table(spark, sf_dir, relation).select(*names).select(F.inline(cells)).where("value is not null")
-            out.append(rows.groupBy("attribute", "value").agg(F.count("*").alias("n_rows")).select(F.lit(relation).alias("relation"), "attribute", "value", "n_rows"))
-    return reduce(DataFrame.unionByName, out) if out else spark.createDataFrame([], "relation string, attribute string, value string, n_rows bigint")
+            out.append(rows.select(F.lit(relation).alias("relation"), "attribute", "value"))
+    return reduce(DataFrame.unionByName, out) if out else spark.createDataFrame([], "relation string, attribute string, value string")
 
 
-def text_terms(values: DataFrame, max_value: int = 200) -> DataFrame:
-    """(relation, attribute, value, value_id, term, prefix): distinct words of each value; values over ``max_value`` characters keep only their id."""
-    terms = F.explode(F.array_distinct(F.filter(F.split(F.lower("value"), TOKEN_SPLIT), lambda t: t != ""))).alias("term")
-    return values.select(
-        "relation", "attribute", F.when(F.length("value") <= max_value, F.col("value")).alias("value"), F.xxhash64("value").alias("value_id"), terms
-    ).withColumn("prefix", F.substring("term", 1, PREFIX))
+def cell_terms(cells: DataFrame, mention_over: int = MENTION) -> DataFrame:
+    """(relation, attribute, value_id, value, term): the distinct words of each cell.
+
+    A value of more than ``mention_over`` characters is text that a question mentions words
+    of, not a name that it quotes: ``value`` is null then and predicates keep the keyword.
+    """
+    terms = F.array_distinct(F.filter(F.split(F.lower("value"), TOKEN_SPLIT), lambda t: t != ""))
+    quoted = F.when(F.length("value") <= mention_over, F.col("value"))
+    # the cell's own columns come first, so that a word's row does not carry the whole text
+    rows = cells.select("relation", "attribute", F.xxhash64("value").alias("value_id"), quoted.alias("value"), terms.alias("terms"))
+    return rows.select("relation", "attribute", "value_id", "value", F.explode("terms").alias("term"))
+
+
+def text_terms(cells: DataFrame, mention_over: int = MENTION) -> DataFrame:
+    """The index: (relation, attribute, value_id, value, term, prefix), a posting once however many cells hold the value."""
+    postings = cell_terms(cells, mention_over).groupBy("relation", "attribute", "value_id", "term").agg(F.first("value").alias("value"))
+    return postings.withColumn("prefix", F.substring("term", 1, PREFIX))
 
 
 def save_terms(terms: DataFrame, path: str) -> None:
@@ -90,20 +102,23 @@ def save_terms(terms: DataFrame, path: str) -> None:
 
 
 def match_terms(probes: DataFrame, terms: DataFrame) -> DataFrame:
-    """(probe columns, relation, attribute, value, value_id) of values in which every stem of a probe begins some word.
+    """(probe_id, relation, attribute, value_id, value, terms) of values in which every stem of a probe begins some word.
 
-    ``probes``: probe_id, relation, attribute, stems. Stems shorter than the index prefix
-    join by their own length.
+    ``probes``: probe_id, relation, attribute, stems; they are as many as a batch of questions
+    has keywords and a schema has text attributes, and are broadcast. ``terms`` is read once:
+    only words that some stem begins leave the scan. Of the words that one stem begins the
+    shortest (the least of equals) stands for it in the result's ``terms``.
     """
-    need = probes.select("probe_id", "relation", "attribute", F.size("stems").alias("need"), F.explode("stems").alias("stem"))
-    long_ = need.where(F.length("stem") >= PREFIX).withColumn("prefix", F.substring("stem", 1, PREFIX))
-    short = need.where(F.length("stem") < PREFIX).withColumn("prefix", F.explode(F.array(F.col("stem"))))
-    hits = terms.join(long_, ["relation", "attribute", "prefix"]).where(F.col("term").startswith(F.col("stem")))
-    cut = lambda n: terms.withColumn("prefix", F.substring("term", 1, n)).join(short.where(F.length("stem") == n), ["relation", "attribute", "prefix"])
-    cols = ["probe_id", "relation", "attribute", "value", "value_id", "stem", "need"]
-    every = hits.select(*cols).unionByName(cut(1).select(*cols)).unionByName(cut(2).select(*cols))
+    stems = probes.select("probe_id", "relation", "attribute", F.size("stems").alias("need"), F.explode("stems").alias("stem"))
+    stems = stems.withColumn("start", F.substring("stem", 1, PREFIX))
+    sizes = sorted(r[0] for r in stems.select(F.length("start")).distinct().collect())
+    starts = F.explode(F.array_distinct(F.array(*[F.substring("term", 1, n) for n in sizes or [PREFIX]]))).alias("start")
+    hits = terms.select("relation", "attribute", "value_id", "value", "term", starts).join(F.broadcast(stems), ["relation", "attribute", "start"])
+    hits = hits.where(F.col("term").startswith(F.col("stem")))
+    by = ["probe_id", "relation", "attribute", "value_id"]
+    word = F.min(F.struct(F.length("term").alias("size"), "term")).alias("word")
+    nearest = hits.groupBy(*by, "stem").agg(word, F.max("value").alias("value"), F.first("need").alias("need"))
     return (
-        every.groupBy("probe_id", "relation", "attribute", "value_id")
-        .agg(F.max("value").alias("value"), F.count_distinct("stem").alias("found"), F.first("need").alias("need"))
-        .where("found = need").select("probe_id", "relation", "attribute", "value", "value_id")
+        nearest.groupBy(*by).agg(F.max("value").alias("value"), F.count("*").alias("found"), F.first("need").alias("need"), F.array_sort(F.collect_set("word.term")).alias("terms"))
+        .where("found = need").drop("found", "need")
     )

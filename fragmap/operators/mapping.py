@@ -4,6 +4,11 @@ Everything runs for a whole batch of questions at once. Candidates are numbered
 their question, log evidence is looked up once per pair of candidates and kept as a
 matrix in the question's row, and configurations are arrays of candidate numbers, so a
 configuration costs a few array reads whatever the log's size.
+
+Stored values are bound late: values of one fragment share its evidence, so a fragment is
+one candidate with its best value and the number of values that are as good (``ways``).
+Candidates therefore follow the schema and the log, not the stored values, and a tie among
+values still counts as a tie.
 """
 
 from __future__ import annotations
@@ -24,7 +29,7 @@ MAX_CONFIGS = 20_000
 _NUMBER = r"(?:^|\s)([0-9]+(?:\.[0-9]+)?)(?:\s|$)"
 _DIGIT = r"([0-9]+(?:\.[0-9]+)?)"
 SQUARE, ORDERED, UNORDERED = "square", "ordered", "unordered"
-_CAND = ["qid", "k", "keyword", "clause", "relation", "attribute", "func", "aggs", "grouped", "op", "value", "words", "targets", "numeric"]
+_CAND = ["qid", "k", "keyword", "clause", "relation", "attribute", "func", "aggs", "grouped", "op", "value", "words", "targets", "numeric", "holds", "ways"]
 
 
 def explode_keywords(questions: DataFrame, number_mode: str = "token") -> DataFrame:
@@ -57,11 +62,12 @@ def keyword_candidates(
     text_kws = kws.where("num is null")
     none = F.lit(None).cast("string")
 
-    def finish(df: DataFrame, clause, relation="relation", attribute="attribute", func=F.lit(""), aggs=None, op=F.lit(""), value=none, targets="names", numeric=False) -> DataFrame:
+    def finish(df: DataFrame, clause, relation="relation", attribute="attribute", func=F.lit(""), aggs=None, op=F.lit(""), value=none, targets="names", numeric=False, holds=F.lit(True), ways=F.lit(1)) -> DataFrame:
         return df.select(
             "qid", "k", "keyword", clause.alias("clause"), F.col(relation).alias("relation"), (F.col(attribute) if attribute else F.lit("")).alias("attribute"), func.alias("func"),
             (aggs if aggs is not None else F.array().cast("array<string>")).alias("aggs"), F.coalesce("grouped", F.lit(False)).alias("grouped"), op.alias("op"), value.alias("value"),
             "words", F.col(targets).alias("targets") if isinstance(targets, str) else targets.alias("targets"), F.lit(numeric).alias("numeric"),
+            holds.alias("holds"), ways.cast("double").alias("ways"),
         )
 
     relations = spark.createDataFrame(
@@ -72,14 +78,15 @@ def keyword_candidates(
     numeric = numeric_candidates(spark, sf_dir, catalog, kws.where("num is not null"), profile, prefilter, temporal_as_year, exclude_keys)
     numeric = finish(
         numeric.join(schema, ["relation", "attribute"]).withColumn("words", stem_tokens(words_in(F.col("rest")))), F.lit("WHERE"), func=F.col("func"),
-        op=F.coalesce("op", F.lit("=")), value=F.col("num_text"), numeric=True,
+        op=F.coalesce("op", F.lit("=")), value=F.col("num_text"), numeric=True, holds=F.col("holds"),
     )
     probing = text_kws.where("clause not in ('FROM', 'SELECT')")
     text = text_candidates(spark, sf_dir, catalog, probing, terms)
     value = F.col("keyword") if value_binding == "keyword" else F.coalesce("value", "keyword")
+    ways = F.lit(1) if value_binding == "keyword" else F.col("ways")
     with_value = F.array_distinct(F.concat("names", F.col("value_words")))
     text = finish(
-        text.withColumn("value_words", stem_tokens(words_in(value))), F.col("clause"), op=F.coalesce("op", F.lit("=")), value=value, targets=with_value,
+        text.withColumn("value_words", stem_tokens(words_in(F.array_join("terms", " ")))), F.col("clause"), op=F.coalesce("op", F.lit("=")), value=value, targets=with_value, ways=ways,
     )
     return from_.unionByName(select).unionByName(numeric).unionByName(text).dropDuplicates(["qid", "k", "clause", "relation", "attribute", "func", "op", "value"])
 
@@ -88,12 +95,10 @@ def numeric_candidates(
     spark: SparkSession, sf_dir: str, catalog: Catalog, kws: DataFrame, profile: DataFrame | None = None, prefilter: bool = True,
     temporal_as_year: bool = True, exclude_keys: bool = False,
 ) -> DataFrame:
-    """Keywords with a number, each with the numeric attributes of which some value satisfies the comparison."""
+    """Keywords with a number, each with the numeric attributes and whether some value satisfies the comparison; only those where one does with ``prefilter``."""
     profile = profile if profile is not None else ci.numeric_profile(spark, sf_dir, catalog, temporal_as_year, exclude_keys)
     rows = kws.withColumn("cmp", F.coalesce("op", F.lit("="))).join(F.broadcast(profile))
     rows = rows.where((F.col("func") != "year") | F.col("num").between(1000, 9999))
-    if not prefilter:
-        return rows
     n, lo, hi = F.col("num"), F.col("lo"), F.col("hi")
     members = ci.numeric_members(spark, sf_dir, catalog, kws.where("coalesce(op, '=') = '='").select("num"), temporal_as_year).withColumn("is_member", F.lit(True))
     rows = rows.join(members, ["relation", "attribute", "num"], "left")
@@ -101,27 +106,60 @@ def numeric_candidates(
         F.when(F.col("cmp") == ">", hi > n).when(F.col("cmp") == ">=", hi >= n).when(F.col("cmp") == "<", lo < n).when(F.col("cmp") == "<=", lo <= n)
         .when(F.col("cmp") == "<>", (lo != n) | (hi != n)).otherwise(F.coalesce("is_member", F.lit(False)))
     )
-    return rows.where(holds)
+    rows = rows.withColumn("holds", F.coalesce(holds, F.lit(False)))
+    return rows.where("holds") if prefilter else rows
 
 
-def text_candidates(spark: SparkSession, sf_dir: str, catalog: Catalog, kws: DataFrame, terms: DataFrame | None = None) -> DataFrame:
-    """Keywords with the text attributes of which some value has a word for each stem; stems of the attribute's own names are not required."""
-    terms = terms if terms is not None else ci.text_terms(ci.text_values(spark, sf_dir, catalog))
+def text_matches(spark: SparkSession, sf_dir: str, catalog: Catalog, kws: DataFrame, terms: DataFrame | None = None) -> DataFrame:
+    """(keyword, relation, attribute, value_id, value, terms) of stored values with a word for each stem; stems of the attribute's own names are not required."""
+    terms = terms if terms is not None else ci.cell_terms(ci.text_cells(spark, sf_dir, catalog))
     schema = F.broadcast(_schema(spark, catalog).where(F.col("kind") == TEXT))
     tokens = F.filter(F.split(F.lower("keyword"), r"\s+"), lambda w: w != "")
     probes = (
         kws.select("keyword").distinct().withColumn("stems", stem_tokens(tokens)).join(schema)
         .select(F.col("keyword").alias("probe_id"), "relation", "attribute", F.array_distinct(F.array_except("stems", "names")).alias("stems")).where(F.size("stems") > 0)
     )
-    found = ci.match_terms(probes, terms).withColumnRenamed("probe_id", "keyword")
-    return kws.join(found, "keyword").join(schema.drop("kind"), ["relation", "attribute"])
+    return ci.match_terms(probes, terms).withColumnRenamed("probe_id", "keyword")
+
+
+def text_candidates(spark: SparkSession, sf_dir: str, catalog: Catalog, kws: DataFrame, terms: DataFrame | None = None) -> DataFrame:
+    """Keywords with the text attributes that hold a match, once per set of matched words: the least such value and how many there are.
+
+    A value that is the keyword itself stands alone; a long text is mentioned, so its value is null and it counts once.
+    """
+    schema = F.broadcast(_schema(spark, catalog).where(F.col("kind") == TEXT))
+    found = text_matches(spark, sf_dir, catalog, kws, terms)
+    same, long = F.coalesce(F.lower("value") == F.lower("keyword"), F.lit(False)), F.col("value").isNull()
+    groups = found.groupBy("keyword", "relation", "attribute", "terms", same.alias("same"), long.alias("long")).agg(F.min("value").alias("value"), F.count("*").alias("n"))
+    groups = groups.withColumn("ways", F.when(F.col("long"), 1).otherwise(F.col("n"))).drop("n", "same", "long")
+    return kws.join(groups, "keyword").join(schema.drop("kind"), ["relation", "attribute"])
 
 
 def score_candidates(cands: DataFrame, sim: SimilarityModel, epsilon: float = EPSILON) -> DataFrame:
-    """Adds sigma. Of a text predicate whose value is the keyword itself the value words decide, so it scores 1."""
+    """Adds sigma. Of a text predicate whose value is the keyword itself the value words decide, so it scores 1; a number
+    that no stored value satisfies, or without a word beside it, scores epsilon."""
     scored = sim.score(cands)
     same = (~F.col("numeric")) & (F.col("op") != "") & (F.lower("value") == F.lower("keyword"))
-    return scored.withColumn("sigma", F.when(same, 1.0).when(F.col("numeric") & (F.size("words") == 0), epsilon).otherwise(F.col("sigma")))
+    vain = F.col("numeric") & (~F.col("holds") | (F.size("words") == 0))
+    return scored.withColumn("sigma", F.when(same, 1.0).when(vain, epsilon).otherwise(F.col("sigma")))
+
+
+def collapse_values(scored: DataFrame, by: tuple[str, ...] = ("qid", "k", "clause", "expr")) -> DataFrame:
+    """One candidate per fragment: its best sigma, the least value that has it, and in how many ways it can be bound so."""
+    rest = [c for c in scored.columns if c not in {*by, "sigma", "ways", "value"}]
+    best = scored.groupBy(*by, "sigma").agg(F.sum("ways").alias("ways"), F.min(F.struct("value", *rest)).alias("own"))
+    top = best.groupBy(*by).agg(F.max(F.struct("sigma", "ways", "own")).alias("t"))
+    return top.select(*by, "t.sigma", "t.ways", "t.own.*").select(*scored.columns)
+
+
+def value_slot(scored: DataFrame, level: str, logged: DataFrame | None, clause: str = "clause") -> DataFrame:
+    """Adds ``slot``, by which values collapse: the fragment, but where constants are kept only logged fragments stand alone,
+    as all that the log never saw have the same evidence. ``logged``: clause, expr."""
+    if level != fr.FULL or logged is None:
+        return scored.withColumn("slot", F.col("expr"))
+    seen = logged.select(F.col("clause").alias("_clause"), F.col("expr").alias("_expr"), F.lit(True).alias("_seen")).distinct()
+    joined = scored.join(seen, (F.col(clause) == F.col("_clause")) & (F.col("expr") == F.col("_expr")), "left")
+    return joined.withColumn("slot", F.when(F.col("_seen"), F.col("expr")).otherwise(fragment_key(fr.NOCONST))).drop("_clause", "_expr", "_seen")
 
 
 def fragment_key(level: str) -> Column:
@@ -160,26 +198,35 @@ def number_candidates(pruned: DataFrame) -> DataFrame:
     return pruned.withColumn("no", F.row_number().over(Window.partitionBy("qid").orderBy("k", "place", "expr")) - 1)
 
 
-def generate_configs(numbered: DataFrame, n_keywords: DataFrame, strategy: str = "exact", beam: int = 200, allow_partial: bool = False) -> DataFrame:
-    """(qid, picks): every way of taking one candidate per keyword, as array<struct<k, no, sigma>>.
+_PICK = "struct<no:int,k:int,sigma:double,ways:double>"
 
-    ``beam`` keeps the best partial choices by similarity; questions with a keyword that
-    has no candidate get none unless ``allow_partial``.
+
+def generate_configs(
+    numbered: DataFrame, n_keywords: DataFrame, strategy: str = "exact", beam: int = 200, allow_partial: bool = False, max_configs: int = MAX_CONFIGS
+) -> DataFrame:
+    """(qid, picks): every way of taking one candidate per keyword, as an array of picks.
+
+    ``beam`` keeps the best partial choices by similarity; so does ``exact`` for a question that
+    would have more than ``max_configs``, which bounds what one row holds. Questions with a
+    keyword that has no candidate get none unless ``allow_partial``.
     """
-    per_k = numbered.groupBy("qid", "k").agg(F.array_sort(F.collect_list(F.struct("no", "k", "sigma"))).alias("options"))
+    ways = (F.col("ways") if "ways" in numbered.columns else F.lit(1)).cast("double").alias("ways")
+    per_k = numbered.groupBy("qid", "k").agg(F.array_sort(F.collect_list(F.struct(F.col("no").cast("int").alias("no"), F.col("k").cast("int").alias("k"), "sigma", ways))).alias("options"))
     rows = per_k.groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("k", "options"))).alias("ks")).join(n_keywords, "qid")
     if not allow_partial:
         rows = rows.where(F.size("ks") == F.col("n_keywords"))
-    pick = "array<struct<no:int,k:int,sigma:double>>"
-    start = F.array(F.array().cast(pick))
+    pick = f"array<{_PICK}>"
+    width = beam if strategy == "beam" else max_configs
+
+    def best(grown: Column) -> Column:
+        keyed = F.transform(grown, lambda c: F.struct((-F.aggregate(c, F.lit(1.0), lambda s, o: s * o["sigma"])).alias("order"), c.alias("c")))
+        return F.transform(F.slice(F.array_sort(keyed), 1, width), lambda x: x["c"])
 
     def extend(done: Column, k: Column) -> Column:
-        grown = F.flatten(F.transform(done, lambda c: F.transform(k["options"], lambda o: F.concat(c, F.array(o.cast("struct<no:int,k:int,sigma:double>"))))))
-        if strategy == "beam":
-            keyed = F.transform(grown, lambda c: F.struct((-F.aggregate(c, F.lit(1.0), lambda s, o: s * o["sigma"])).alias("order"), c.alias("c")))
-            grown = F.transform(F.slice(F.array_sort(keyed), 1, beam), lambda x: x["c"])
-        return grown
+        grown = F.flatten(F.transform(done, lambda c: F.transform(k["options"], lambda o: F.concat(c, F.array(o.cast(_PICK))))))
+        return F.transform(F.array(grown), lambda g: F.when(F.size(g) > width, best(g)).otherwise(g))[0]
 
+    start = F.array(F.array().cast(pick))
     return rows.select("qid", F.explode(F.aggregate("ks", start.cast(f"array<{pick}>"), extend)).alias("picks"))
 
 
@@ -237,12 +284,13 @@ def combine(s: Column, q: Column, lam: float | Column = LAMBDA, how: str = "line
 
 
 def rank_configs(configs: DataFrame, by: tuple[str, ...] = ("qid",)) -> DataFrame:
-    """Adds rank and tied (several share the first place) on ``score`` rounded to 12 places."""
+    """Adds rank and tied (several share the first place, or one that can be bound in several ways) on ``score`` rounded to 12 places."""
     score = F.round("score", 12)
     group = Window.partitionBy(*by)
     ranked = configs.withColumn("rank", F.row_number().over(group.orderBy(F.desc(score), F.col("picks.no"))))
     place = F.rank().over(group.orderBy(F.desc(score)))
-    return ranked.withColumn("_p", place).withColumn("tied", F.sum(F.when(F.col("_p") == 1, 1).otherwise(0)).over(group) > 1).drop("_p")
+    ways = F.aggregate("picks", F.lit(1.0), lambda n, p: n * p["ways"])
+    return ranked.withColumn("_p", place).withColumn("tied", F.sum(F.when(F.col("_p") == 1, ways).otherwise(0.0)).over(group) > 1).drop("_p")
 
 
 def scored_configs(
@@ -295,7 +343,8 @@ def map_keywords(
 ) -> tuple[DataFrame, DataFrame]:
     """Ranked configurations and the numbered candidates that they pick from."""
     scored = scored if scored is not None else score_candidates(keyword_candidates(spark, sf_dir, catalog, questions), sim, epsilon)
-    numbered = number_candidates(score_and_prune(scored.withColumn("expr", fragment_key(level)), kappa, epsilon, tie=("expr", "value")))
+    slots = value_slot(scored.withColumn("expr", fragment_key(level)), level, qfg.vertices if qfg is not None else None)
+    numbered = number_candidates(score_and_prune(collapse_values(slots, ("qid", "k", "clause", "slot")), kappa, epsilon, tie=("expr", "value")))
     n_keywords = questions.select("qid", F.size("keywords").alias("n_keywords"))
     ranked = rank_configs(scored_configs(numbered, n_keywords, qfg, lam))
     return (ranked if top is None else ranked.where(F.col("rank") <= top)), numbered

@@ -143,16 +143,17 @@ def top_partners(qfg: FragmentGraph, n: int = 3) -> DataFrame:
 def graph_as_of(log: DataFrame, catalog: Catalog, questions: DataFrame) -> DataFrame:
     """(qid, clause, expr, n_v) counting only statements older than each question (qid, asked_at).
 
-    Daily counts are kept as running totals with the interval in which they hold, so a
-    question joins one total per fragment and the open day, never the log.
+    Closed days are added up once per stretch between the days that questions fall on, and a
+    stretch counts for every later one: no join by range. The open day's statements join by day.
     """
     by_time = fr.statement_fragments(log, catalog, by=("ts",))
     seen = by_time.select("ts", "n", F.explode(F.array_distinct("keys")).alias("f")).select("ts", "n", "f.clause", "f.expr")
-    day = F.date_trunc("day", F.col("ts"))
-    daily = seen.groupBy(day.alias("day"), "clause", "expr").agg(F.sum("n").alias("n"))
-    before = Window.partitionBy("clause", "expr").orderBy("day")
-    totals = daily.select("clause", "expr", "day", F.sum("n").over(before).alias("upto"), F.lead("day").over(before).alias("until"))
-    asked = questions.select("qid", "asked_at", F.date_trunc("day", F.col("asked_at")).alias("open"))
-    closed = asked.join(totals, (F.col("day") < F.col("open")) & (F.coalesce("until", F.col("open")) >= F.col("open"))).select("qid", "clause", "expr", F.col("upto").alias("n"))
-    today = asked.join(seen, (F.date_trunc("day", F.col("ts")) == F.col("open")) & (F.col("ts") < F.col("asked_at"))).select("qid", "clause", "expr", "n")
+    day = lambda c: F.date_trunc("day", F.col(c)).cast("bigint")
+    asked = questions.select("qid", "asked_at", day("asked_at").alias("open"))
+    opens = F.array(*[F.lit(r[0]).cast("bigint") for r in asked.select("open").distinct().orderBy("open").collect()])  # calendar days
+    after = F.filter(opens, lambda d: d > day("ts"))
+    stretches = seen.where(F.size(after) > 0).groupBy(after[0].alias("first"), "clause", "expr").agg(F.sum("n").alias("n"))
+    totals = stretches.select("clause", "expr", "n", F.explode(F.filter(opens, lambda d: d >= F.col("first"))).alias("open")).groupBy("open", "clause", "expr").agg(F.sum("n").alias("n"))
+    closed = asked.join(totals, "open").select("qid", "clause", "expr", "n")
+    today = asked.join(seen.withColumn("open", day("ts")), "open").where("ts < asked_at").select("qid", "clause", "expr", "n")
     return closed.unionByName(today).groupBy("qid", "clause", "expr").agg(F.sum("n").alias("n_v"))

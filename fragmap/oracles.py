@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from fragmap.catalog import given_catalog
+
 #: What the statements of each template hold, clause by clause.
 TRUTH = """
 truth0(ts_, clause, expr, op, rule) AS (VALUES
@@ -148,10 +150,16 @@ def _has(stem: str) -> str:
 
 
 _PROFILE = " UNION ALL ".join(
-    f"SELECT '{r}' AS relation, '{c}' AS attribute, '{f}' AS func, min({e})::DOUBLE + 0.0 AS lo, max({e})::DOUBLE + 0.0 AS hi FROM {r}"
-    for r, c, f, e in [(r, c, "", c) for r in ("part", "orders", "lineitem") for c in _NUMERIC[r]] + [(r, c, "year", f"year({c})") for r, cs in _DATES.items() for c in cs]
-    + [("events", c, "", c) for c in ("event_id", "user_id", "value")] + [("events", "ts", "year", "year(ts)")] + [("labels", c, "", c) for c in ("doc_id", "quality", "toxic")]
+    f"SELECT '{a.relation}' AS relation, '{a.name}' AS attribute, '{f}' AS func, min({e})::DOUBLE + 0.0 AS lo, max({e})::DOUBLE + 0.0 AS hi FROM {a.relation}"
+    for a in given_catalog().attributes for f, e in {"numeric": [("", a.name)], "temporal": [("year", f"year({a.name})")]}.get(a.kind, [])
 )
+_CORPUS_TEXTS = {"documents": ["text", "lang", "source"], "pages": ["url", "html"], "benchmark": ["text"], "conversations": ["role", "text"]}
+
+
+def _word(w: str) -> str:
+    return f"list_contains(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), '{w}')"
+
+
 _SLUG = "(SELECT table_name AS relation, column_name AS attribute FROM information_schema.columns WHERE table_name IN ('region','nation','customer','supplier','part','orders','lineitem','events','documents','labels','pages','benchmark','conversations','embeddings'))"
 _KEYCOLS = """(VALUES ('nation.n_regionkey','region.r_regionkey'), ('customer.c_nationkey','nation.n_nationkey'), ('supplier.s_nationkey','nation.n_nationkey'), ('orders.o_custkey','customer.c_custkey'),
  ('lineitem.l_orderkey','orders.o_orderkey'), ('lineitem.l_partkey','part.p_partkey'), ('lineitem.l_suppkey','supplier.s_suppkey'), ('events.user_id','customer.c_custkey'), ('labels.doc_id','documents.doc_id')) AS k(src, dst)"""
@@ -194,6 +202,12 @@ ORACLE_SQL = {
     "cand_text": f"""WITH a AS ({_all_text('')}) SELECT DISTINCT 't1' AS qid, relation, attribute, value FROM a WHERE {_has('red')} AND {_has('widget')} UNION ALL SELECT DISTINCT 't2', relation, attribute, value FROM a WHERE {_has('small')}""",
     "cand_text_namedrop": f"""WITH a AS ({_all_text('')}) SELECT DISTINCT 'd1' AS qid, relation, attribute, value FROM a WHERE {_has('small')} AND {_has('ring')} AND (relation = 'part' OR {_has('part')})
       UNION ALL SELECT DISTINCT 'd2', relation, attribute, value FROM a WHERE relation <> 'part' AND {_has('part')}""",
+    "cand_text_corpus": f"""WITH a AS (SELECT DISTINCT relation, attribute, value FROM ({_all_text('', _CORPUS_TEXTS)}) WHERE value IS NOT NULL)
+      SELECT qid, relation, attribute, count(*)::BIGINT AS "values", (count(*) FILTER (length(value) <= 200))::BIGINT AS quoted FROM (
+        SELECT 'c1' AS qid, * FROM a WHERE {_has('system')} UNION ALL SELECT 'c2', * FROM a WHERE {_has('releas')} AND {_has('licens')} UNION ALL SELECT 'c3', * FROM a WHERE {_has('src1')}) GROUP BY ALL""",
+    "cand_text_bound": f"""WITH a AS (SELECT DISTINCT relation, attribute, value FROM ({_all_text('')}))
+      SELECT qid, relation || '.' || attribute || ' ?op ?val' AS expr, min(value) AS value, count(*)::DOUBLE AS ways FROM (
+        SELECT 'b1' AS qid, * FROM a WHERE {_word('small')} UNION ALL SELECT 'b2', * FROM a WHERE {_word('red')} UNION ALL SELECT 'b3', * FROM a WHERE {_word('nation_1')}) GROUP BY ALL""",
     "numeric_profile": _PROFILE,
     "text_terms": f"""WITH a AS (SELECT DISTINCT relation, attribute, value FROM ({_all_text('')})), t AS (SELECT relation, attribute, value, unnest(list_distinct(list_filter(regexp_split_to_array(lower(value), '[^a-z0-9_#\\-]+'), lambda x: x <> ''))) AS term FROM a)
       SELECT relation, attribute, count(DISTINCT value)::BIGINT AS "values", count(DISTINCT term)::BIGINT AS terms, count(*)::BIGINT AS postings FROM t GROUP BY ALL""",
@@ -286,10 +300,15 @@ GOLD = {
     "d03": "SELECT text AS c0 FROM documents, labels WHERE labels.doc_id = documents.doc_id AND toxic = 0 AND source = 'src0'",
     "d04": "SELECT text AS c0 FROM documents WHERE n_chars > 500 AND lang = 'de'",
     "d05": "SELECT text AS c0 FROM conversations WHERE role = 'assistant'",
+    "d06": """WITH w AS (SELECT unnest(regexp_split_to_array(regexp_replace(regexp_replace(lower(html), '<script>.*?</script>|<style>.*?</style>', ' ', 'g'), '<[^>]*>', ' ', 'g'), '[^a-z]+')) AS w FROM pages)
+      SELECT url AS c0 FROM pages WHERE html = (SELECT w FROM w WHERE length(w) >= 4 GROUP BY w ORDER BY count(*) DESC, w LIMIT 1)""",
     "d07": "SELECT vec_id AS c0 FROM embeddings WHERE label = 0",
     "d08": "SELECT round(avg(n_chars), 4) AS c0, source AS c1 FROM documents, labels WHERE labels.doc_id = documents.doc_id AND toxic = 0 GROUP BY source",
 }
-ORACLE_SQL |= {f"run_{k}": v for k, v in GOLD.items()}
+#: Templates whose first question the host translates wrongly (a tie, a path or a mapping that its log does not settle);
+#: ``translation_report`` shows them, and their gold SQL is no twin of what runs.
+MISTRANSLATED = {"t01", "t02", "t07", "t08", "t13", "t15", "t17", "t18", "v01", "v03", "v07"}
+ORACLE_SQL |= {f"run_{k}": v for k, v in GOLD.items() if k not in MISTRANSLATED}
 #: Copied references of each fork; the two ways differ in one edge of the last.
 _FORKED = """('part.p_name','lineitem#1.l_partkey','part#1.p_partkey'),
  ('part.p_name','lineitem#1.l_orderkey','orders.o_orderkey'),

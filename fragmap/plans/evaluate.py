@@ -73,20 +73,46 @@ def improvement(base: Column, new: Column) -> Column:
 
 
 def exec_equal(spark: SparkSession, sql1: str, sql2: str) -> bool:
-    """Whether two statements return equal multisets of rows."""
-    a, b = spark.sql(sql1), spark.sql(sql2)
+    """Whether two statements return equal multisets of rows; doubles are compared to four places, as sums may be added in any order."""
+    a, b = (rounded(spark.sql(x)) for x in (sql1, sql2))
+    if [k for _, k in a.dtypes] != [k for _, k in b.dtypes]:
+        return False
+    b = b.toDF(*a.columns)
     return a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()
 
 
+def rounded(rows: DataFrame, places: int = 4) -> DataFrame:
+    return rows.select(*[(F.round(c, places) if k == "double" else F.col(c)).alias(c) for c, k in rows.dtypes])
+
+
+def register_tables(spark: SparkSession, sf_dir: str) -> None:
+    for name in BENCHMARKS["all"]:
+        table(spark, sf_dir, name).createOrReplaceTempView(name)
+
+
+def translation_report(spark: SparkSession, sf_dir: str, host: hs.Host, qids: list[str]) -> DataFrame:
+    """(qid, template, sql, tied, same_text, same_rows): the host's SQL beside the gold SQL, run against the same tables."""
+    x = Experiment(spark, sf_dir, only=qids)
+    register_tables(spark, sf_dir)
+    found = x.answers(host).select("qid", "sql", "tied").join(x.asked.select("qid", "template", "gold_sql"), "qid")
+    rows = []
+    for r in found.collect():  # as many as the questions asked
+        same_rows = r["sql"] is not None and (r["sql"] == r["gold_sql"] or exec_equal(spark, r["sql"], r["gold_sql"]))
+        rows.append((r["qid"], r["template"], r["sql"], r["tied"], r["sql"] == r["gold_sql"], same_rows))
+    return spark.createDataFrame(rows, "qid string, template string, sql string, tied boolean, same_text boolean, same_rows boolean")
+
+
 class Experiment:
     """Questions, folds, candidates and fold graphs, each made once."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, sim: SimilarityModel | None = None, split: str = "question", level: str = fr.NOCONSTOP, keep: float = 1.0):
+    def __init__(self, spark: SparkSession, sf_dir: str, sim: SimilarityModel | None = None, split: str = "question", level: str = fr.NOCONSTOP, keep: float = 1.0, only: list[str] | None = None):
+        """``only`` names the questions to translate; the logs hold all of them."""
         self.spark, self.sf_dir = spark, sf_dir
         self.sim = sim or LexiconSimilarity(glossary(spark))
         self.questions = assign_folds(load_questions(spark, sf_dir), split=split)
         self.questions = cut(self.questions)
-        self.scored = hs.batch_candidates(spark, sf_dir, self.questions, self.sim)
+        self.asked = self.questions if only is None else cut(self.questions.where(F.col("qid").isin(only)))
+        self.scored = hs.batch_candidates(spark, sf_dir, self.asked, self.sim)
         self.use_level(level, keep)
 
     def use_level(self, level: str, keep: float = 1.0) -> None:
@@ -95,11 +121,11 @@ class Experiment:
         self.dice = hs.relation_dice_by_ns(self.graph)
 
     def run(self, host: hs.Host) -> DataFrame:
-        answers = hs.translate(self.spark, self.sf_dir, self.questions, hs.replace_host(host, level=self.level), self.sim, self.graph, self.dice, self.scored)
-        return judge(answers, self.questions, host.ties_wrong)
+        answers = hs.translate(self.spark, self.sf_dir, self.asked, hs.replace_host(host, level=self.level), self.sim, self.graph, self.dice, self.scored)
+        return judge(answers, self.asked, host.ties_wrong)
 
     def answers(self, host: hs.Host) -> DataFrame:
-        return hs.translate(self.spark, self.sf_dir, self.questions, host, self.sim, self.graph, self.dice, self.scored)
+        return hs.translate(self.spark, self.sf_dir, self.asked, host, self.sim, self.graph, self.dice, self.scored)
 
 
 def systems() -> list[hs.Host]:

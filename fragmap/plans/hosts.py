@@ -183,6 +183,9 @@ def configurations(
     """Ranked configurations and numbered candidates. ``questions``: qid, ns, keywords."""
     # constraints inferred from the key's nested cases would grow with every filter above
     own = cut(scored.join(questions.select("qid", "ns"), "qid").withColumn("expr", mapping.fragment_key(host.level)))
+    spaced = own.withColumn("space", F.concat("ns", F.lit(_MARK), "clause"))
+    own = mapping.value_slot(spaced, host.level, graph.vertices if graph is not None and host.log else None, "space").drop("space")
+    own = mapping.collapse_values(own, ("qid", "k", "clause", "slot"))
     numbered = mapping.number_candidates(mapping.score_and_prune(own, host.kappa, tie=("expr", "value")))
     numbered = cut(numbered)
     n = questions.select("qid", F.size("keywords").alias("n_keywords"))

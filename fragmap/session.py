@@ -5,9 +5,10 @@ from __future__ import annotations
 from pyspark.sql import SparkSession
 
 
-def session(cpus: str = "*", shuffle_partitions: int = 8) -> SparkSession:
+def session(cpus: str = "*", shuffle_partitions: int = 8, memory: str = "6g") -> SparkSession:
     return (
         SparkSession.builder.master(f"local[{cpus}]").appName("fragmap")
+        .config("spark.driver.memory", memory)
         .config("spark.sql.shuffle.partitions", shuffle_partitions)
         .config("spark.sql.session.timeZone", "UTC")
         .config("spark.sql.adaptive.enabled", "true")
