@@ -4,7 +4,7 @@ Only documents carry labels. A document's probability is one minus the product o
 its sentences' complements, each sentence a logistic score over hashed words and word
 beginnings; training moves the sentence scores through that product, so sentences are
 found without sentence labels. The model is fitted on at most ``SAMPLE`` labelled rows
-(those of least id hash), a fixed number of weights; all rows are scored whole. Word weights are at least 0, with a
+(those of least id hash, as far as ``SAMPLE_CHARS`` characters in all), a fixed number of weights; all rows are scored whole. Word weights are at least 0, with a
 linear penalty that empties most of them; the bias alone speaks against.
 
 Defined cases: a null or empty text has one empty sentence, which scores the model's
@@ -17,16 +17,18 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from fragmap.llm import common
 
 SAMPLE = 6000
+SAMPLE_CHARS = 32_000_000
 N_WEIGHTS = 1 << 18
 ROUNDS = 140
 RATE = 0.15
@@ -65,7 +67,7 @@ def fit(texts: list[str | None], labels: list[int]) -> tuple[np.ndarray, float]:
     if not len(y) or y.min() == y.max():
         return weights.astype(np.float32), bias if not len(y) or y.max() == 0 else -bias
     number: dict[str, int] = {}
-    word_at, sent_at, doc_of = [], [], []
+    word_at, sent_at, doc_of = array("i"), array("i"), array("i")  # 4 bytes an entry, where lists of numbers take 40
     for d, text in enumerate(texts):
         doc_of.append(d)
         for token in _tokens(text):
@@ -74,8 +76,8 @@ def fit(texts: list[str | None], labels: list[int]) -> tuple[np.ndarray, float]:
             else:
                 word_at.append(number.setdefault(token, len(number)))
                 sent_at.append(len(doc_of) - 1)
-    word_at, sent_at, doc_of = (np.asarray(x, np.int64) for x in (word_at, sent_at, doc_of))
-    docs_with = np.unique(word_at * len(y) + doc_of[sent_at]) // len(y)
+    word_at, sent_at, doc_of = (np.frombuffer(x, np.int32) if len(x) else np.empty(0, np.int32) for x in (word_at, sent_at, doc_of))
+    docs_with = np.unique(word_at.astype(np.int64) * len(y) + doc_of[sent_at]) // len(y)
     seen = np.bincount(docs_with, minlength=len(number))
     pairs = [(w, f) for word, w in number.items() for f in word_features(word)]
     pair_word, pair_feature = (np.asarray(x, np.int64) for x in (zip(*pairs) if pairs else ((), ())))
@@ -138,15 +140,15 @@ def sentence_span(text: str | None, number: int) -> tuple[int, int]:
     return start, len(text or "")
 
 
-def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, remainder: int = HELD_OUT) -> tuple[list, list]:
-    """At most ``sample`` (text, label) rows outside the held-out part, those of least id hash."""
+def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, remainder: int = HELD_OUT, chars: int = SAMPLE_CHARS) -> tuple[list, list]:
+    """At most ``sample`` (text, label) rows outside the held-out part, those of least id hash, until their texts pass ``chars`` in all."""
     known = labels.where(F.col("toxic").isNotNull() & ~held_out("doc_id", remainder)).groupBy("doc_id").agg(F.max("toxic").alias("y"))
     known = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    rows = (
-        docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").groupBy("doc_id")
-        .agg(F.max("y").alias("y"), F.max("text").alias("text")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample).collect()
-    )
-    return [r["text"] for r in rows], [int(r["y"] > 0) for r in rows]
+    rows = docs.select("doc_id", "text").join(F.broadcast(known), "doc_id").groupBy("doc_id").agg((F.max("y") > 0).cast("int").alias("y"), F.max("text").alias("text"))
+    upto = Window.orderBy(F.xxhash64("doc_id"), "doc_id").rowsBetween(Window.unboundedPreceding, -1)  # over at most ``sample`` rows
+    rows = rows.withColumn("before", F.coalesce(F.sum(F.coalesce(F.length("text"), F.lit(0))).over(upto), F.lit(0)))
+    table = rows.where(F.col("before") < chars).select("text", "y").toArrow()
+    return table["text"].to_pylist(), table["y"].to_pylist()
 
 
 def score_toxicity(docs: DataFrame, model: tuple[np.ndarray, float], text_col: str = "text") -> DataFrame:
