@@ -38,6 +38,7 @@ PART = 16
 BITMAP = 2048
 OFTEN = 8
 PAIRS = 1_000_000
+BLOOM_BITS = 26
 FORESTS = 2
 SIMILARITY = 0.8
 
@@ -307,15 +308,47 @@ def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None,
         yield pa.record_batch([pa.array(lo), pa.array(hi)], ["a", "b"])
 
 
-def shingle_sets(texts: DataFrame, shingle: int) -> DataFrame:
-    """(tid, shingles): all distinct shingle hashes of each text."""
+def _bloom_places(ids: np.ndarray) -> list[np.ndarray]:
+    ids = np.asarray(ids, np.int64).view(np.uint64)
+    with np.errstate(over="ignore"):
+        return [((ids * np.uint64(m)) >> np.uint64(64 - BLOOM_BITS)).astype(np.int64) for m in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F)]
+
+
+def bloom_words(ids: DataFrame) -> np.ndarray:
+    """A Bloom filter over ``tid``: 2 ** BLOOM_BITS bits whatever the number of ids, put together by partial aggregation."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = np.concatenate(_bloom_places(batch.column(0).to_numpy(zero_copy_only=False)))
+            yield pa.record_batch([pa.array(at >> 6), pa.array(np.left_shift(np.uint64(1), (at & 63).astype(np.uint64)).view(np.int64))], ["word", "bits"])
+
+    table = ids.select("tid").mapInArrow(run, "word bigint, bits bigint").groupBy("word").agg(F.bit_or("bits").alias("bits")).toArrow()
+    words = np.zeros(1 << (BLOOM_BITS - 6), np.uint64)
+    words[table["word"].to_numpy()] = table["bits"].to_numpy().view(np.uint64)
+    return words
+
+
+def shingle_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
+    """(tid, shingles): all distinct shingle hashes of each text that is ``asked`` for (tid, doc).
+
+    Texts stay where they are read: a Bloom filter of fixed size passes over most that are not
+    asked for, the rest become sets there, and a join leaves the ones asked for.
+    """
+    shared = texts.sparkSession.sparkContext.broadcast(bloom_words(asked))  # 2 ** BLOOM_BITS bits
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        words = shared.value
         for batch in batches:
-            sets = [shingle_set(t.as_py(), shingle).view(np.int64) for t in batch.column("text")]
-            yield pa.record_batch([batch.column("tid"), pa.array(sets, pa.list_(pa.int64()))], ["tid", "shingles"])
+            hit = np.ones(batch.num_rows, bool)
+            for at in _bloom_places(batch.column("tid").to_numpy(zero_copy_only=False)):
+                hit &= ((words[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)).astype(bool)
+            batch = batch.filter(pa.array(hit))
+            if batch.num_rows:
+                sets = [shingle_set(t.as_py(), shingle).view(np.int64) for t in batch.column("text")]
+                yield pa.record_batch([batch.column("tid"), batch.column("doc"), pa.array(sets, pa.list_(pa.int64()))], ["tid", "doc", "shingles"])
 
-    return texts.select("tid", "text").mapInArrow(run, "tid bigint, shingles array<bigint>")
+    found = texts.select("tid", "doc", "text").mapInArrow(run, "tid bigint, doc bigint, shingles array<bigint>")
+    return found.join(asked.hint("shuffle_hash"), ["tid", "doc"]).dropDuplicates(["tid", "doc"]).select("tid", "shingles")
 
 
 def possible_pairs(pairs: DataFrame, texts: DataFrame, similarity: float) -> DataFrame:
@@ -356,18 +389,20 @@ def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_dif
         free()
         ends = found.select(F.explode(F.array("a", "b")).alias("tid")).distinct()
         if step == 0:  # a text without a candidate now has none later
-            texts = common.stored(texts.join(ends, "tid"), "simhash-linked")
+            every, texts = texts, common.stored(texts.join(ends, "tid"), "simhash-linked")
+            common.discard(every)
         fresh = found if seen is None else found.join(seen, ["a", "b"], "left_anti")
         fresh = common.checkpoint(possible_pairs(fresh, texts, similarity))
         asked = fresh.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
-        own = keyed.join(asked.hint("shuffle_hash"), ["tid", "doc"]).dropDuplicates(["tid", "doc"])
         passed = links
         if not fresh.isEmpty():
-            sets = common.stored(shingle_sets(own, shingle), "simhash-sets")
+            sets = common.stored(shingle_sets(keyed, common.checkpoint(asked), shingle), "simhash-sets")
             free()
             passed = similar_pairs(fresh, sets, similarity)
             passed = passed if links is None else links.unionByName(passed)
-        links = common.checkpoint(fresh if passed is None else passed)
+            links = common.checkpoint(passed)
+            common.discard(sets)
+        links = common.checkpoint(fresh) if links is None else links
         roots = common.checkpoint(connected_components(links, "a", "b"))
         if step == FORESTS or found.isEmpty():
             break
