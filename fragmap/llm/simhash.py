@@ -39,6 +39,7 @@ BITMAP = 2048
 OFTEN = 8
 PAIRS = 1_000_000
 BLOOM_BITS = 26
+SHIPPED = 0.25
 FORESTS = 2
 SIMILARITY = 0.8
 
@@ -368,6 +369,22 @@ def similar_pairs(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataF
     return first.join(sets, "tid").where((either == 0) | (both / F.greatest(either, F.lit(1)) >= similarity)).select("a", F.col("tid").alias("b"))
 
 
+def verified_pairs(pairs: DataFrame, texts: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """``similar_pairs`` in batches, as a pair carries a whole set to the other text: a batch
+    ships about ``SHIPPED`` of the bytes that the sets of all texts have, and its shuffle files go before the next."""
+    free = pairs.sparkSession._jvm.java.lang.System.gc
+    ends = pairs.withColumnRenamed("a", "tid").join(texts.select("tid", "size"), "tid").agg(F.sum("size")).first()[0] or 0
+    whole = texts.agg(F.sum("size")).first()[0] or 0
+    batches = max(1, math.ceil(ends / max(SHIPPED * whole, 1)))
+    out = None
+    for batch in range(batches):
+        own = pairs.where(F.pmod(F.xxhash64("a", "b"), F.lit(batches)) == batch)
+        passed = common.checkpoint(similar_pairs(own, sets, similarity))
+        out = passed if out is None else out.unionByName(passed)
+        free()
+    return out
+
+
 def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_diff: int | None, similarity: float) -> DataFrame:
     """(node, root) of the texts that some verified pair joins.
 
@@ -398,7 +415,7 @@ def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_dif
         if not fresh.isEmpty():
             sets = common.stored(shingle_sets(keyed, common.checkpoint(asked), shingle), "simhash-sets")
             free()
-            passed = similar_pairs(fresh, sets, similarity)
+            passed = verified_pairs(fresh, texts, sets, similarity)
             passed = passed if links is None else links.unionByName(passed)
             links = common.checkpoint(passed)
             common.discard(sets)
