@@ -25,6 +25,22 @@ def ascii_lower(c: Column) -> Column:
     return F.translate(c, _UPPER, _UPPER.lower())
 
 
+def set_aside(docs: DataFrame, own: list[str]) -> DataFrame:
+    """``docs`` whose columns named as one of ``own`` (in any case) are called ``input_`` and their name, in the same order.
+
+    An operator that passes columns through calls it before it adds its own.
+    """
+    taken, clash = {c.lower() for c in [*docs.columns, *own]}, {c.lower() for c in own}
+    names = []
+    for name in docs.columns:
+        if name.lower() in clash:
+            while name.lower() in taken:
+                name = f"input_{name}"
+            taken.add(name.lower())
+        names.append(name)
+    return docs if names == docs.columns else docs.toDF(*names)
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """Evaluates ``value`` once and hands it to ``body``.
 

@@ -9,7 +9,7 @@ level, so a key is rewritten once per level, never once per batch.
 Defined cases: a null or empty text is one empty line, which is too short to be
 dropped; a null ``doc_id`` sorts below every other id; repeated rows of one
 ``doc_id`` count as one document and get the same result; an empty table gives an
-empty result; other columns pass through, whatever they are called.
+empty result; other columns pass through, those named as an added one as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -127,7 +127,7 @@ def dedup_lines(
     A key found in ``min_docs`` documents or more keeps its lines only in the
     largest id that holds it.
     """
-    spark = docs.sparkSession
+    spark, docs = docs.sparkSession, common.set_aside(docs, ["kept_text", "n_lines", "n_dropped"])
     keys = line_keys(docs, id_col, text_col, min_chars)
     path = common.work_path(spark, "line-keys")
     keys.withColumn("batch", F.pmod(F.xxhash64("doc"), F.lit(n_batches)).cast("int")).write.partitionBy("batch").parquet(path)
@@ -151,7 +151,7 @@ def dedup_lines(
         ),
     )
     return joined.select(
-        *[docs[c] for c in docs.columns],
+        *[docs[f"`{c}`"] for c in docs.columns],
         F.when(F.col("_ld_dropped").isNull(), F.coalesce(F.col(text_col), F.lit(""))).otherwise(kept).alias("kept_text"),
         F.size(lines).cast("bigint").alias("n_lines"),
         F.coalesce(F.size("_ld_dropped"), F.lit(0)).cast("bigint").alias("n_dropped"),

@@ -15,7 +15,7 @@ once for each pair by merging their characters.
 Defined cases: a null or empty text has no piece; characters outside the vocabulary
 become byte pieces; U+2581 in a text decodes as a space, as in the public library;
 repeated rows encode alike; an empty table gives an empty result; other columns pass
-through, whatever they are called.
+through, those named as an added one as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -299,10 +299,14 @@ def _groups(texts: list[str | None]) -> Iterator[tuple[int, int]]:
 
 
 def encode_documents(docs: DataFrame, text_col: str = "text", model: str = MODEL, ids: bool = True) -> DataFrame:
-    """All columns of ``docs`` and ``n_pieces``, ``pieces_crc32`` (of the numbers as little-endian int32), ``round_trip`` and, if asked, ``pieces``."""
+    """All columns of ``docs`` and ``n_pieces``, ``pieces_crc32`` (of the numbers as little-endian int32), ``round_trip`` and, if asked, ``pieces``.
+
+    Input columns of these names are returned as ``input_<name>``.
+    """
+    added = ["n_pieces", "pieces_crc32", "round_trip", *["pieces"] * ids]
+    docs = common.set_aside(docs, added)
     names = docs.columns
     at = names.index(text_col)
-    added = ["n_pieces", "pieces_crc32", "round_trip", *["pieces"] * ids]
 
     def finish(batches: list[pa.RecordBatch], own: PieceCodec) -> Iterator[pa.RecordBatch]:
         import zlib
@@ -338,7 +342,8 @@ def encode_documents(docs: DataFrame, text_col: str = "text", model: str = MODEL
 
 
 def decode_documents(docs: DataFrame, pieces_col: str = "pieces", model: str = MODEL) -> DataFrame:
-    """All columns of ``docs`` and ``decoded``."""
+    """All columns of ``docs`` (one named so as ``input_decoded``) and ``decoded``."""
+    docs = common.set_aside(docs, ["decoded"])
     names = docs.columns
     at = names.index(pieces_col)
 

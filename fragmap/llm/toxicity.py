@@ -152,8 +152,13 @@ def training_rows(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, rema
 
 
 def score_toxicity(docs: DataFrame, model: tuple[np.ndarray, float], text_col: str = "text") -> DataFrame:
-    """All columns of ``docs`` and ``tox_score``, ``tox_sentence`` (number), ``tox_start``, ``tox_end`` of the worst sentence."""
+    """All columns of ``docs`` and ``tox_score``, ``tox_sentence`` (number), ``tox_start``, ``tox_end`` of the worst sentence.
+
+    Input columns of these names are returned as ``input_<name>``.
+    """
     weights, bias = model
+    added = ["tox_score", "tox_sentence", "tox_start", "tox_end"]
+    docs = common.set_aside(docs, added)
     shared = docs.sparkSession.sparkContext.broadcast(weights)  # N_WEIGHTS floats
     names = docs.columns
     at = names.index(text_col)
@@ -169,7 +174,7 @@ def score_toxicity(docs: DataFrame, model: tuple[np.ndarray, float], text_col: s
                 out.append((noisy_or(z), worst, *sentence_span(text, worst)))
             cols = list(zip(*out)) or [(), (), (), ()]
             more = [pa.array(cols[0], pa.float64()), *[pa.array(c, pa.int32()) for c in cols[1:]]]
-            yield pa.RecordBatch.from_arrays([*batch.columns, *more], [*names, "tox_score", "tox_sentence", "tox_start", "tox_end"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, *more], [*names, *added])
 
     kinds = [f"`{n}` {k}" for n, k in docs.dtypes]
     return docs.mapInArrow(run, ", ".join([*kinds, "tox_score double, tox_sentence int, tox_start int, tox_end int"]))

@@ -136,12 +136,12 @@ def edited_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str =
 
 
 def document_fingerprints(docs: DataFrame, text_col: str = "text", gram: int = GRAM, window: int = WINDOW) -> DataFrame:
-    """All columns of ``docs`` and ``fingerprint``: array<struct<hash int, pos bigint>>."""
+    """All columns of ``docs`` (one named so as ``input_fingerprint``) and ``fingerprint``: array<struct<hash int, pos bigint>>."""
     pairs = F.transform(
         selected(F.coalesce(F.col(text_col), F.lit("")), gram, window),
         lambda v: F.struct(F.shiftright(v, 32).cast("int").alias("hash"), (F.lit(_LOW) - v.bitwiseAND(F.lit(_LOW))).alias("pos")),
     )
-    return docs.withColumn("fingerprint", pairs)
+    return common.set_aside(docs, ["fingerprint"]).withColumn("fingerprint", pairs)
 
 
 def op9_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
