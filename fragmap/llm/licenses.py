@@ -50,8 +50,13 @@ _WORD = r"([^\x00-\x2F\x3A-\x60\x7B-\x7F]+)"
 
 
 def words_of(text: Column) -> Column:
-    """Words of the contract. ``lower`` folds other alphabets too, whose letters are word characters before and after."""
-    return F.regexp_extract_all(F.lower(F.coalesce(text, F.lit(""))), F.lit(_WORD), 1)
+    """Words of the contract, but with other alphabets folded too: their letters are word characters before and after.
+
+    The Kelvin sign alone would become an ASCII letter, so another letter stands for it. Words are
+    counted and compared with ASCII words, never returned.
+    """
+    kept = F.replace(F.coalesce(text, F.lit("")), F.lit("\u212a"), F.lit("\u00e9"))
+    return F.regexp_extract_all(F.lower(kept), F.lit(_WORD), 1)
 
 
 def _strings(values: list[str]) -> Column:
@@ -126,7 +131,7 @@ def template_matches(
         tokens.join(F.broadcast(index), "word")
         .where(F.size("ranks_b") >= F.col("need"))
         .where(F.col("at_t") + rest >= F.col("need"))
-        .select(*keys, "block", "ranks_b", "template")
+        .select(*keys, "block", "ranks_b", "template").distinct()  # several words of one prefix may hit
     )
     share = F.size(F.array_intersect("ranks_b", "ranks")) / F.size("ranks")
     return (
