@@ -1,5 +1,6 @@
 """Small fixtures with nulls, empty and long texts, ties, repeated rows and clashing column names, against plain versions."""
 
+import hashlib
 import math
 import re
 import zlib
@@ -263,3 +264,102 @@ def test_license_scan(docs, spark, empty):
                 want.add((i, k))
     assert {(r["doc_id"], r["template"]) for r in licenses.template_matches(df, ["doc_id"]).collect()} == want
     assert licenses.license_scan(empty).count() == 0
+
+
+def test_columns_named_as_added_ones_stay(spark):
+    """Every operator that passes columns through returns clashing ones as input_<name>."""
+    rows = spark.createDataFrame([(1, f"{LINE}\nown", "a"), (2, LINE, None), (3, LINE, "c")], "doc_id bigint, text string, x string")
+    model = toxicity.fit(["bad thing"] * 5 + ["fine day"] * 5, [1] * 5 + [0] * 5)
+    for added, run in [
+        (["kept_text", "N_LINES", "n_dropped"], line_dedup.dedup_lines),
+        (["n_pieces", "pieces", "round_trip", "pieces_crc32"], pieces.encode_documents),
+        (["tox_score", "tox_sentence", "tox_start", "tox_end"], lambda d: toxicity.score_toxicity(d, model)),
+        (["fingerprint"], winnow.document_fingerprints),
+    ]:
+        clash = rows.selectExpr("doc_id", "text", *[f"x AS {n}" for n in added], f"7 AS input_{added[0]}")
+        got = run(clash)
+        names = [n.lower() for n in got.columns]
+        assert len(names) == len(set(names)) and {n.lower() for n in added} <= set(names)
+        out = {r["doc_id"]: r for r in got.collect()}
+        for n in added:
+            held = f"input_input_{n}" if n == added[0] else f"input_{n}"
+            assert [out[i][held] for i in (1, 2, 3)] == ["a", None, "c"]
+        assert out[1][f"input_{added[0]}"] == 7
+
+
+def test_license_base_equals_brute_force(spark):
+    rng = np.random.default_rng(11)
+    parts = ["Under", "the", "MIT", "license", "Apache", "version", "2", "cc", "by", "nc", "worK", "İx", "é", "by-nc", "CC", "x9"]
+    seps = [" ", "\n", "-", ", ", "_", "\t"]
+    whole = [*licenses.PHRASES, "Under The MIT-License", "CC BY-NC", "licensed under cc by nc 4.0"]
+    texts = [None, ""]
+    for _ in range(120):
+        words = [str(rng.choice(whole if rng.random() < 0.2 else parts)) for _ in range(rng.integers(1, 40))]
+        texts.append("".join(w + str(rng.choice(seps)) for w in words))
+    got = {r["doc_id"]: r for r in licenses.license_scan(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")).collect()}
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    some = 0
+    for i, text in enumerate(texts):
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", (text or "").translate(lower))
+        places = [(j, label) for p, label in licenses.PHRASES.items() for j in range(len(words)) if words[j : j + len(p.split())] == p.split()]
+        some += bool(places)
+        r, at = got[i], [j for j, _ in places]
+        assert (r["n_words"], r["n_base"]) == (len(words), len(places))
+        assert (r["first_word"], r["last_word"]) == ((min(at), max(at)) if at else (None, None))
+        assert r["base_labels"] == ",".join(sorted({label for _, label in places}))
+        assert {label for _, label in places} <= set(r["labels"].split(",")) and 0 <= r["score"] <= 1
+    assert some > 20
+
+
+def test_template_matches_are_distinct_and_the_kelvin_sign_is_no_k(spark):
+    text = licenses.TEMPLATES[1][1]
+    df = spark.createDataFrame([(1, text), (2, "worK WORK")], "doc_id int, text string")
+    rows = [(r["doc_id"], r["block"], r["template"]) for r in licenses.template_matches(df, ["doc_id"]).collect()]
+    assert rows and len(rows) == len(set(rows))
+    assert df.where("doc_id = 2").select(licenses.words_of(df["text"]).alias("w")).first()["w"] == ["woré", "work"]
+
+
+def test_simhash_components_equal_all_pairs(spark):
+    rows = _edited_copies(13, 10, 6, 2) + [(900, None), (901, ""), (902, "one two"), (903, "ONE  two")]
+    got = {r["doc_id"]: r for r in simhash.near_duplicate_groups(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    import xxhash
+
+    codes = {}
+    for d, t in rows:
+        words = re.findall(r"[^\x20\x09-\x0D]+", (t or "").lower())
+        n = min(4, len(words))
+        hs = [xxhash.xxh64_intdigest(" ".join(words[i : i + n]).encode(), 42) for i in range(len(words) - n + 1)] if n else []
+        codes[d] = sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hs) > len(hs))
+    root = {d: d for d in codes}
+    for a in codes:
+        for b in codes:
+            if (codes[a] ^ codes[b]).bit_count() <= 4 and root[a] != root[b]:
+                x, y = sorted((root[a], root[b]))
+                root = {d: x if r == y else r for d, r in root.items()}
+    assert {d: (r["fp"] % (1 << 64), r["component_id"]) for d, r in got.items()} == {d: (codes[d], root[d]) for d in codes}
+
+
+def test_winnowing_equals_plain_loops(spark):
+    rng = np.random.default_rng(17)
+    texts = [None, "", " \n"] + ["".join(str(rng.choice(["ab", "c", "漢", "x" * 20])) + str(rng.choice([" ", "\n", ""])) for _ in range(rng.integers(1, 60))) for _ in range(40)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    units = lambda t: re.findall(r"(?<!\S)\S{1,12}(?!\S)|\S", t or "", re.ASCII)
+    grams = [(i, j, *[u[j + k] if j + k < len(u) else None for k in range(3)]) for i, t in enumerate(texts) if (u := units(t)) for j in range(max(len(u) - 2, 1))]
+    hashed = spark.createDataFrame(grams, "i int, j int, a string, b string, c string").selectExpr("i", "j", "xxhash64(a, b, c) & 2147483647 AS h").collect()
+    by = {}
+    for r in sorted(hashed, key=lambda r: (r["i"], r["j"])):
+        by.setdefault(r["i"], []).append((r["h"], r["j"]))
+    for r in winnow.document_fingerprints(df).collect():
+        hs = by.get(r["doc_id"], [])
+        want = []
+        for s in range(max(len(hs) - 5, 1) if hs else 0):
+            least = min(hs[s : s + 6], key=lambda v: (v[0], -v[1]))
+            if least not in want:
+                want.append(least)
+        assert [tuple(x) for x in r["fingerprint"]] == want
+    rows = {r["doc_id"]: r for r in winnow.edited_fingerprints(df).collect()}
+    for i, t in enumerate(texts):
+        t, after = t or "", texts[(i + 1) % len(texts)] or ""
+        cut = len(t) // 4
+        assert rows[i]["n_chars"] == len(t)
+        assert rows[i]["edited_sha256"] == hashlib.sha256((t[: len(t) - cut] + after[:cut]).encode()).hexdigest()
