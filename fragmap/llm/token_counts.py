@@ -55,11 +55,12 @@ def token_lengths(docs: DataFrame, text_col: str = "text", vocabulary: str = VOC
 
 
 def length_histogram(lengths: DataFrame) -> DataFrame:
-    """One row per length with counts, prefix and suffix sums; sums run inside blocks of lengths and are then shifted."""
-    counts = (
-        lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs"))
-        .withColumn("block", F.floor(F.col("n_tokens") / BLOCK))
-    )
+    """One row per length with counts, prefix and suffix sums; sums run inside blocks of lengths and are then shifted.
+
+    Counts are read twice, so they are cut from the plan that encodes.
+    """
+    counts = common.checkpoint(lengths.groupBy("n_tokens").agg(F.count("*").alias("n_docs")))
+    counts = counts.withColumn("block", F.floor(F.col("n_tokens") / BLOCK))
     tokens = F.col("n_tokens") * F.col("n_docs")
     inside = Window.partitionBy("block").orderBy(F.desc("n_tokens")).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     local = counts.select("*", F.sum("n_docs").over(inside).alias("docs_in"), F.sum(tokens).over(inside).alias("tokens_in"))
