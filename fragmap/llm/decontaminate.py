@@ -10,8 +10,10 @@ and score exactly what remains. What is retrieved must then
 share word shingles with the item's question and with its answer.
 
 Passages are runs of twice the longest item, starting every such length, so each item
-lies whole in one. The index holds at most ``INDEX_CHARS`` characters of items; a
-larger benchmark is searched in several such parts.
+lies whole in one. An index holds about ``INDEX_CHARS`` characters of items; a larger
+benchmark is searched in several such parts, one after the other. Document frequencies,
+mean length and passage length are those of the whole benchmark in every part, so the
+parts give the scores that one index would give.
 
 Defined cases: null or empty texts and items match nothing; items of no word are not
 indexed; an item's answer is what follows its last question mark, else its last
@@ -25,10 +27,12 @@ import math
 import re
 from collections import Counter, defaultdict
 from collections.abc import Iterator
+from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fragmap.llm import common
@@ -65,20 +69,36 @@ def shingles(words: list[str], n: int = SHINGLE) -> set[tuple[str, ...]]:
     return {tuple(words[i : i + n]) for i in range(len(words) - n + 1)} if n else set()
 
 
+@dataclass
+class Statistics:
+    """What scores take from all items that hold a word: their number, words and longest, and the items of each word."""
+
+    items: int
+    words: int
+    longest: int
+    df: dict[str, int]
+
+
 class ItemIndex:
-    """Inverted index with term maxima and block maxima; postings are in order of item number."""
+    """Inverted index with term maxima and block maxima; postings are in order of item number.
 
-    def __init__(self, items: list[tuple[object, str]], block: int = BLOCK):
+    ``stats`` are those of the whole benchmark where ``items`` is a part of it.
+    """
+
+    def __init__(self, items: list[tuple[object, str]], block: int = BLOCK, stats: Statistics | None = None):
         rows = [(i, words_of(t), t) for i, t in items]
         rows = [r for r in rows if r[1]]
         self.ids = [r[0] for r in rows]
         self.parts = [tuple((shingles(p), min(SHINGLE, len(p))) for p in question_and_answer(r[2])) for r in rows]
-        self.longest = max((len(r[1]) for r in rows), default=1)
         counts = [Counter(r[1]) for r in rows]
-        df = Counter(w for c in counts for w in c)
-        mean = sum(len(r[1]) for r in rows) / max(len(rows), 1)
-        idf = {w: math.log(1 + (len(rows) - n + 0.5) / (n + 0.5)) for w, n in df.items()}
-        self.terms = {w: i for i, w in enumerate(df)}
+        own = Counter(w for c in counts for w in c)
+        if stats is None:
+            sizes = [len(r[1]) for r in rows]
+            stats = Statistics(len(rows), sum(sizes), max(sizes, default=1), own)
+        self.longest = stats.longest
+        mean = stats.words / max(stats.items, 1)
+        idf = {w: math.log(1 + (stats.items - stats.df[w] + 0.5) / (stats.df[w] + 0.5)) for w in own}
+        self.terms = {w: i for i, w in enumerate(own)}
         postings = defaultdict(list)
         for item, (c, r) in enumerate(zip(counts, rows)):
             norm = K1 * (1 - B + B * len(r[1]) / mean)
@@ -170,13 +190,47 @@ def _wand(lists: list[list[tuple[int, float]]], threshold: float) -> list[tuple[
     return found
 
 
-def item_indexes(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", index_chars: int = INDEX_CHARS) -> list[ItemIndex]:
-    """Indexes over parts of the items, each of about ``index_chars`` characters at most."""
+def _worded(items: DataFrame, part: Column) -> DataFrame:
+    """(part, size, words) of every item that holds a word; ``words`` are its distinct ones."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            words = [words_of(t.as_py()) for t in batch.column("t")]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column("part"), pa.array([len(w) for w in words], pa.int64()), pa.array([sorted(set(w)) for w in words], pa.list_(pa.string()))],
+                ["part", "size", "words"],
+            )
+
+    return items.select(part.cast("int").alias("part"), "t").mapInArrow(run, "part int, size bigint, words array<string>").where("size > 0")
+
+
+def each_index(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", index_chars: int = INDEX_CHARS) -> Iterator[ItemIndex]:
+    """Indexes over parts of the items, each of about ``index_chars`` characters; one is on the driver at a time.
+
+    Of the word counts of all items only those of a part's words reach the driver.
+    """
     items = benchmark.select(F.col(id_col).alias("i"), F.coalesce(F.col(text_col), F.lit("")).alias("t"))
     chars = items.agg(F.sum(F.length("t"))).first()[0] or 0
     parts = math.ceil(chars / index_chars) or 1
     part = F.pmod(F.xxhash64("i", "t"), F.lit(parts))
-    return [ItemIndex([(r["i"], r["t"]) for r in items.where(part == k).orderBy("i", "t").collect()]) for k in range(parts)]
+    if parts == 1:  # its own statistics are those of the whole
+        yield ItemIndex([(r["i"], r["t"]) for r in items.orderBy("i", "t").collect()])
+        return
+    worded = common.checkpoint(_worded(items, part))
+    n, words, longest = worded.agg(F.count("*"), F.sum("size"), F.max("size")).first()
+    if not n:
+        return
+    each = worded.select("part", F.explode("words").alias("word"))
+    df = common.checkpoint(each.groupBy("word").agg(F.count("*").alias("n")))
+    for k in range(parts):
+        mine = df.join(each.where(F.col("part") == k).select("word").distinct(), "word", "left_semi")
+        stats = Statistics(n, words, longest, {r["word"]: r["n"] for r in mine.collect()})
+        yield ItemIndex([(r["i"], r["t"]) for r in items.where(part == k).orderBy("i", "t").collect()], stats=stats)
+
+
+def item_indexes(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", index_chars: int = INDEX_CHARS) -> list[ItemIndex]:
+    """``each_index`` as a list."""
+    return list(each_index(benchmark, id_col, text_col, index_chars))
 
 
 def find_leaks(docs: DataFrame, index: ItemIndex, keep: list[str], text_col: str = "text", item_type: str = "bigint") -> DataFrame:
@@ -200,11 +254,19 @@ def find_leaks(docs: DataFrame, index: ItemIndex, keep: list[str], text_col: str
     return docs.select(*keep, F.col(text_col).alias("_dc_text")).mapInArrow(run, schema)
 
 
-def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that hold no test item, same columns."""
+def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", index_chars: int = INDEX_CHARS) -> DataFrame:
+    """The rows of ``docs`` that hold no test item, same columns.
+
+    Between the parts of a large benchmark rows are stored, so a worker holds one index.
+    """
     spark, names = docs.sparkSession, docs.columns
-    at = names.index(text_col)
-    for index in item_indexes(benchmark):
+    at, last = names.index(text_col), None
+    for k, index in enumerate(each_index(benchmark, index_chars=index_chars)):
+        if k:
+            docs = common.stored(docs, "leak-free")
+            if last is not None:
+                common.discard(last)
+            last = docs
         shared = spark.sparkContext.broadcast(index)
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
@@ -218,8 +280,5 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text")
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents").select("doc_id", "text")
-    found = [find_leaks(docs, index, ["doc_id"]) for index in item_indexes(common.table(spark, sf_dir, "benchmark"))]
-    out = found[0]
-    for more in found[1:]:
-        out = out.unionByName(more)
-    return out
+    found = [find_leaks(docs, index, ["doc_id"]) for index in each_index(common.table(spark, sf_dir, "benchmark"))]
+    return reduce(DataFrame.unionByName, found) if found else find_leaks(docs, ItemIndex([]), ["doc_id"])

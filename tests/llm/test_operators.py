@@ -8,6 +8,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+import xxhash
 
 from fragmap.llm import (
     decontaminate, gray_index, licenses, line_dedup, pieces, sharding, simhash, token_counts, toxicity, winnow,
@@ -363,3 +364,80 @@ def test_winnowing_equals_plain_loops(spark):
         cut = len(t) // 4
         assert rows[i]["n_chars"] == len(t)
         assert rows[i]["edited_sha256"] == hashlib.sha256((t[: len(t) - cut] + after[:cut]).encode()).hexdigest()
+
+
+def _plain_leaks(text, items):
+    """(item id, score) by plain loops: BM25 shares of every passage, then the overlaps of the best one."""
+    words = [(i, re.findall(r"[^\W_]+", (t or "").lower()), t) for i, t in items]
+    words = [w for w in words if w[1]]
+    mean, longest = sum(len(w) for _, w, _ in words) / len(words), max(len(w) for _, w, _ in words)
+    df = Counter(x for _, w, _ in words for x in set(w))
+    here, found = re.findall(r"[^\W_]+", (text or "").lower()), {}
+    for start in range(0, max(len(here) - longest, 1), longest):
+        passage = set(here[start : start + 2 * longest])
+        wide = here[max(0, start - longest) : start + 3 * longest]
+        for i, w, t in words:
+            share = {
+                x: math.log(1 + (len(words) - df[x] + 0.5) / (df[x] + 0.5)) * n * 2.2 / (n + 1.2 * (0.25 + 0.75 * len(w) / mean))
+                for x, n in Counter(w).items()
+            }
+            score = sum(v for x, v in share.items() if x in passage) / sum(share.values())
+            if score < 0.5 - 1e-9:
+                continue
+            overlaps = []
+            for part in decontaminate.question_and_answer(t):
+                size = min(5, len(part))
+                grams = {tuple(part[k : k + size]) for k in range(len(part) - size + 1)}
+                overlaps.append(len(grams & {tuple(wide[k : k + size]) for k in range(len(wide) - size + 1)}) / len(grams))
+            if min(overlaps) >= 0.5:
+                found[i] = max(found.get(i, 0.0), score)
+    return found
+
+
+def test_decontamination_equals_plain_loops(spark):
+    rng = np.random.default_rng(11)
+    vocabulary = [f"w{k}" for k in range(300)]
+    say = lambda n: " ".join(rng.choice(vocabulary, n))
+    items = [(k, f"{say(int(rng.integers(6, 25)))}? {say(int(rng.integers(3, 9)))}.") for k in range(60)] + [(60, None), (61, "..."), (62, "one")]
+    texts = [None, "", say(2000)]
+    for k in range(40):
+        body = items[k][1].split()
+        for at in rng.integers(0, len(body), k % 3):
+            body[at] = "changed"
+        texts.append(" ".join([say(int(rng.integers(0, 200))), *body, say(int(rng.integers(0, 200)))]))
+    bench = spark.createDataFrame(items, "item_id bigint, text string")
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    want = {(d, i): s for d, t in enumerate(texts) for i, s in _plain_leaks(t, items).items()}
+    assert len(want) > 20
+    for chars in (10**9, 1500):  # one index, and parts that must give the same scores
+        indexes = decontaminate.item_indexes(bench, index_chars=chars)
+        assert (len(indexes) > 3) == (chars == 1500)
+        rows = [r for index in indexes for r in decontaminate.find_leaks(docs, index, ["doc_id"]).collect()]
+        got = {(r["doc_id"], r["item_id"]): r["score"] for r in rows}
+        assert len(rows) == len(got) and got == pytest.approx(want)
+        clean = {r["doc_id"] for r in decontaminate.drop_leaking(docs, bench, index_chars=chars).collect()}
+        assert clean == set(range(len(texts))) - {d for d, _ in want}
+
+
+def _plain_shard(key, n):
+    at, ahead = -1, 0
+    while ahead < n:
+        at = ahead
+        key = (key * 2862933555777941757 + 1) % 2**64
+        ahead = int((at + 1) * ((1 << 31) / ((key >> 33) + 1)))
+    return at
+
+
+def test_sharding_query_equals_plain_loops(spark, sf):
+    texts = {r["doc_id"]: (r["text"] or "").encode() for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    rows = sharding.op6_sharding(spark, sf).collect()
+    assert len(rows) == len(texts)
+    slots = {}
+    for r in rows:
+        data = texts[r["doc_id"]]
+        key = xxhash.xxh64_intdigest(r["doc_id"].to_bytes(8, "little", signed=True), seed=42)
+        assert (r["size"], r["text_crc32"], r["law"]) == (len(data) + 8, zlib.crc32(data), "key")
+        assert (r["shard"], r["grown_shard"]) == (_plain_shard(key, 24), _plain_shard(key, 25))
+        assert r["grown_shard"] in (r["shard"], 24)
+        slots.setdefault(r["shard"], []).append(r["slot"])
+    assert all(sorted(s) == list(range(len(s))) for s in slots.values())
