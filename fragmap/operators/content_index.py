@@ -77,6 +77,12 @@ def text_cells(spark: SparkSession, sf_dir: str, catalog: Catalog) -> DataFrame:
     return reduce(DataFrame.unionByName, out) if out else spark.createDataFrame([], "relation string, attribute string, value string")
 
 
+def distinct_cells(cells: DataFrame, mention_over: int = MENTION) -> DataFrame:
+    """``cells`` with each value of up to ``mention_over`` characters once per attribute; longer ones stay as they are, as they would be large grouping keys."""
+    short = F.length("value") <= mention_over
+    return cells.where(short).distinct().unionByName(cells.where(~short))
+
+
 def cell_terms(cells: DataFrame, mention_over: int = MENTION) -> DataFrame:
     """(relation, attribute, value_id, value, term): the distinct words of each cell.
 

@@ -162,6 +162,17 @@ def batch_candidates(spark: SparkSession, sf_dir: str, questions: DataFrame, sim
     return out
 
 
+def parsed_candidates(spark: SparkSession, sf_dir: str, questions: DataFrame, sim: SimilarityModel, noises: tuple[float, ...] = (0.0,)) -> dict[float, DataFrame]:
+    """By share of parser errors: scored candidates of the questions as such a parser reads them. All are found in one pass over the tables."""
+    own = lambda noise: f"{noise}{_MARK}"
+    read = None
+    for noise in noises:
+        part = noisy_parse(questions, noise).withColumn("qid", F.concat(F.lit(own(noise)), "qid"))
+        read = part if read is None else read.unionByName(part)
+    scored = batch_candidates(spark, sf_dir, cut(read), sim)
+    return {n: scored.where(F.col("qid").startswith(own(n))).withColumn("qid", F.substring_index("qid", _MARK, -1)) for n in noises}
+
+
 def relation_hops(spark: SparkSession, catalog: Catalog) -> DataFrame:
     """(a, b, dist) over all pairs of relations that keys join."""
     near: dict[str, set[str]] = {r: set() for r in catalog.relations}
@@ -265,10 +276,11 @@ def translate(
     spark: SparkSession, sf_dir: str, questions: DataFrame, host: Host, sim: SimilarityModel, graph: qg.FragmentGraph | None = None, dice: dict | None = None,
     scored: DataFrame | None = None,
 ) -> DataFrame:
-    """(qid, .., frags, vertices, edges, sql, score, tied, path_tied) of the top configuration of each question; without one, nulls."""
-    if host.noise:
-        questions = noisy_parse(questions, host.noise)
-        scored = None
+    """(qid, .., frags, vertices, edges, sql, score, tied, path_tied) of the top configuration of each question; without one, nulls.
+
+    ``scored``, where given, are the candidates of the questions as the host's parser reads them.
+    """
+    questions = noisy_parse(questions, host.noise)
     scored = scored if scored is not None else batch_candidates(spark, sf_dir, questions, sim)
     ranked, numbered = configurations(spark, scored, questions, host, graph)
     mapped = cut(picked_fragments(host.choose(ranked), numbered))
