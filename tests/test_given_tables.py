@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as entry
 from fragmap.catalog import BENCHMARKS
 
-NAMES = ["bag_to_relations", "cfg_all", "cfg_beam"]
+NAMES = ["bag_to_relations", "cfg_all", "cfg_beam", "cfg_rank_ties"]
 
 
 @pytest.mark.parametrize("name", NAMES)
