@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as entry
 from fragmap.catalog import BENCHMARKS
 
-NAMES = ["bag_to_relations", "cfg_all", "cfg_beam", "cfg_rank_ties", "cfg_sigma_arith", "cfg_sigma_geo"]
+NAMES = ["bag_to_relations", "cfg_all", "cfg_beam", "cfg_rank_ties", "cfg_sigma_arith", "cfg_sigma_geo", "disconnected_bag"]
 
 
 @pytest.mark.parametrize("name", NAMES)
