@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as entry
 from fragmap.catalog import BENCHMARKS
 
-NAMES = ["bag_to_relations", "cfg_all", "cfg_beam", "cfg_rank_ties", "cfg_sigma_arith", "cfg_sigma_geo", "disconnected_bag", "fork_edges", "fork_edges_closure", "fork_vertices", "graph_edges"]
+NAMES = ["bag_to_relations", "cfg_all", "cfg_beam", "cfg_rank_ties", "cfg_sigma_arith", "cfg_sigma_geo", "disconnected_bag", "fork_edges", "fork_edges_closure", "fork_vertices", "graph_edges", "graph_vertices"]
 
 
 @pytest.mark.parametrize("name", NAMES)
