@@ -18,6 +18,7 @@ SHINGLE = 5
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = toxicity.fit(*toxicity.training_rows(docs, common.table(spark, sf_dir, "labels")))
+    common.release()
     scored = toxicity.score_toxicity(docs, model)
     return scored.where(F.col("tox_score") < toxicity.THRESHOLD).select(*scored.columns[: len(docs.columns)]).toDF(*docs.columns)
 
@@ -33,7 +34,7 @@ def drop_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The least doc_id of each group stays; similarity of 0.8 or more over shingles of five words."""
+    """The least doc_id of each group stays: SimHash links of the Gray index, verified, then pairs beyond its radius; similarity of 0.8 or more over shingles of five words."""
     return simhash.drop_near_duplicates(docs, shingle=SHINGLE)
 
 

@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -92,3 +95,12 @@ def discard(df: DataFrame) -> None:
     """Deletes what ``stored`` wrote for ``df``; nothing may read it any more."""
     for folder in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
         remove_path(df.sparkSession, folder)
+
+
+def release() -> None:
+    """Gives memory that the driver's Python no longer uses back to the system."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it
+    if trim:
+        trim(0)

@@ -385,46 +385,65 @@ def verified_pairs(pairs: DataFrame, texts: DataFrame, sets: DataFrame, similari
     return out
 
 
+def indexed_pairs(texts: DataFrame, max_diff: int) -> DataFrame:
+    """Distinct (a, b) of ``tid``: links of the Gray index, each between the least texts of two fingerprints, and every other text with the least of its own."""
+    codes = common.checkpoint(texts.groupBy("fp").agg(F.min("tid").alias("least")))
+    first, second = codes.toDF("u", "a"), codes.toDF("v", "b")
+    near = link_edges(codes.select("fp"), codes.count(), max_diff).join(first, "u").join(second, "v").select("a", "b")
+    same = texts.join(codes, "fp").where("tid <> least").select(F.col("least").alias("a"), F.col("tid").alias("b"))
+    return near.unionByName(same).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
 def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_diff: int | None, similarity: float) -> DataFrame:
     """(node, root) of the texts that some verified pair joins.
 
-    Every candidate is verified or lies inside a component already. A few rounds verify only
-    links that join components, so that a large group is joined without its pairs; the last
-    round takes every candidate left between different components. Shuffle files of a step
-    are let go before the next.
+    Links that the Gray index finds between fingerprints are verified first and make the first
+    components. What lies beyond its radius follows: every candidate that shares a prefix
+    shingle is verified or lies inside a component already. A few rounds verify only links that
+    join components, so that a large group is joined without its pairs; the last round takes
+    every candidate left between different components. Shuffle files of a step are let go
+    before the next.
     """
-    free = keyed.sparkSession._jvm.java.lang.System.gc
+    gc = keyed.sparkSession._jvm.java.lang.System.gc
+
+    def free() -> None:
+        common.release()
+        gc()
+
     often, counts = frequent_shingles(keyed, shingle)
     rows = prefixes(keyed, often, shingle, similarity)
     texts = rows.groupBy("tid").agg(*[F.first(c).alias(c) for c in ("fp", "size", "prefix", "bitmap")])
     texts = common.stored(texts, "simhash-prefixes")
-    live = texts.withColumn("root", F.col("tid"))
-    seen = links = roots = None
+
+    def verified(pairs: DataFrame) -> DataFrame:
+        fresh = common.checkpoint(possible_pairs(pairs, texts, similarity))
+        if fresh.isEmpty():
+            return fresh
+        asked = fresh.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
+        sets = common.stored(shingle_sets(keyed, common.checkpoint(asked), shingle), "simhash-sets")
+        free()
+        passed = verified_pairs(fresh, texts, sets, similarity)
+        common.discard(sets)
+        return passed
+
+    named = lambda df: df.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
+    seen = common.checkpoint(indexed_pairs(texts, MAX_DIFF if max_diff is None else min(MAX_DIFF, max_diff)))
+    links = common.checkpoint(verified(seen))
+    roots = common.checkpoint(connected_components(links, "a", "b"))
+    live = named(texts)
     for step in range(FORESTS + 1):
         free()
         found = common.checkpoint(candidate_pairs(live, often, counts, similarity, max_diff, step if step < FORESTS else None))
         free()
         ends = found.select(F.explode(F.array("a", "b")).alias("tid")).distinct()
-        if step == 0:  # a text without a candidate now has none later
-            every, texts = texts, common.stored(texts.join(ends, "tid"), "simhash-linked")
+        if step == 0:  # a component without a candidate now has none later
+            every, texts = texts, common.stored(live.join(named(ends).select("root").distinct(), "root", "left_semi").drop("root"), "simhash-linked")
             common.discard(every)
-        fresh = found if seen is None else found.join(seen, ["a", "b"], "left_anti")
-        fresh = common.checkpoint(possible_pairs(fresh, texts, similarity))
-        asked = fresh.select(F.explode(F.array("a", "b")).alias("tid")).distinct().join(nodes, "tid").select("tid", F.col("first_doc").alias("doc"))
-        passed = links
-        if not fresh.isEmpty():
-            sets = common.stored(shingle_sets(keyed, common.checkpoint(asked), shingle), "simhash-sets")
-            free()
-            passed = verified_pairs(fresh, texts, sets, similarity)
-            passed = passed if links is None else links.unionByName(passed)
-            links = common.checkpoint(passed)
-            common.discard(sets)
-        links = common.checkpoint(fresh) if links is None else links
+        links = common.checkpoint(links.unionByName(verified(found.join(seen, ["a", "b"], "left_anti"))))
         roots = common.checkpoint(connected_components(links, "a", "b"))
         if step == FORESTS or found.isEmpty():
             break
-        seen = found if seen is None else seen.unionByName(found)
-        named = lambda df: df.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
+        seen = seen.unionByName(found)
         live = named(texts).join(named(ends).select("root").distinct(), "root", "left_semi")
     free()
     return roots

@@ -31,3 +31,15 @@ def test_near_copies_are_found_at_any_distance(spark):
     assert max(far) > 8
     got = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "")
     assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, None)
+
+
+def test_near_copies_go_through_the_gray_index(spark, monkeypatch):
+    rows = _edited_copies(7, 8, 8, 3)
+    own, asked, pairs = simhash.link_edges, [], []
+    monkeypatch.setattr(simhash, "link_edges", lambda codes, *a, **k: asked.append(codes.count()) or own(codes, *a, **k))
+    verify = simhash.verified_pairs
+    monkeypatch.setattr(simhash, "verified_pairs", lambda p, *a: pairs.append({(r["a"], r["b"]) for r in p.collect()}) or verify(p, *a))
+    got = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id bigint, text string"), "")
+    assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, None)
+    assert asked == [len({simhash.fingerprint(t, 5) for _, t in rows})]
+    assert not any(x & y for i, x in enumerate(pairs) for y in pairs[:i])  # nothing that the index linked is verified twice
