@@ -37,7 +37,7 @@ GROUP = 1024
 PART = 16
 BITMAP = 2048
 OFTEN = 8
-PAIRS = 1_000_000
+PAIRS = 1 << 17
 BLOOM_BITS = 26
 SHIPPED = 0.25
 FORESTS = 2
@@ -238,8 +238,9 @@ def candidate_pairs(
 ) -> DataFrame:
     """Distinct (a, b) of texts of different ``root`` that share a prefix shingle and may reach ``similarity``.
 
-    With ``forest`` only links that join the components inside a batch of tasks: the nearest
-    fingerprints first if 0, in another order for every other number. Without, all of them.
+    With ``forest`` only links that join the components inside a batch of tasks, no more than it
+    has texts: the nearest fingerprints first if 0, in another order for every other number.
+    Without, all of them.
     """
     spark = texts.sparkSession
     keyed = texts.select("tid", "fp", "size", "root", F.posexplode("prefix").alias("pos", "h"))
@@ -268,7 +269,7 @@ def candidate_pairs(
 
 
 def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None, forest: int | None) -> Iterator[pa.RecordBatch]:
-    """Pairs inside each run of equal task, made in chunks of about ``PAIRS``."""
+    """Pairs inside each run of equal task, made in chunks of about ``PAIRS``; a forest is carried from chunk to chunk."""
     task, tid, fp, size, root, pos = cols
     if not len(task):
         return
@@ -276,6 +277,8 @@ def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None,
     bounds = np.concatenate([[0], np.flatnonzero(np.diff(task)) + 1, [len(task)]])
     later = np.repeat(bounds[1:], np.diff(bounds)) - np.arange(len(task)) - 1
     before = np.concatenate([[0], np.cumsum(later)])
+    known, number = np.unique(root, return_inverse=True)
+    held = np.empty((2, 0), np.int64)
     first = 0
     while first < len(task):
         end = max(first + 1, int(np.searchsorted(before, before[first] + PAIRS, "right")) - 1)
@@ -286,27 +289,29 @@ def _candidates(cols: list[np.ndarray], similarity: float, max_diff: int | None,
         # at the first shingle that two texts share, no more than what follows in both can be shared
         most = np.minimum(size[a] - pos[a], size[b] - pos[b])
         keep = (root[a] != root[b]) & ((1 + similarity) * most >= similarity * (size[a] + size[b]) - 1e-6)
-        a, b = a[keep], b[keep]
-        far = np.bitwise_count(fp[a] ^ fp[b])
         if max_diff is not None:
-            a, b, far = a[far <= max_diff], b[far <= max_diff], far[far <= max_diff]
+            keep &= np.bitwise_count(fp[a] ^ fp[b]) <= max_diff
+        a, b = a[keep], b[keep]
         if not len(a):
             continue
+        if forest is not None:
+            a, b = np.concatenate([held[0], a]), np.concatenate([held[1], b])
         lo, hi = np.minimum(tid[a], tid[b]), np.maximum(tid[a], tid[b])
         if forest is not None:
             with np.errstate(over="ignore"):
                 mixed = (lo * np.int64(0x9E3779B97F4A7C1 + 2 * forest)) ^ (hi * np.int64(0x2545F4914F6CDD1D))
                 mixed = (mixed ^ (mixed >> np.int64(29))) * np.int64(0x3C79AC492BA7B653 + 2 * forest)
-            order = np.lexsort((mixed, far)) if forest == 0 else np.argsort(mixed, kind="stable")
-            known, number = np.unique(np.concatenate([root[a], root[b]])[np.concatenate([order, len(a) + order])], return_inverse=True)
-            own = order[spanning(len(known), number[: len(a)], number[len(a) :])]
-            lo, hi = lo[own], hi[own]
-        else:
-            order = np.lexsort((hi, lo))
-            lo, hi = lo[order], hi[order]
-            new = np.concatenate([[True], (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])])
-            lo, hi = lo[new], hi[new]
-        yield pa.record_batch([pa.array(lo), pa.array(hi)], ["a", "b"])
+            order = np.lexsort((mixed, np.bitwise_count(fp[a] ^ fp[b]))) if forest == 0 else np.argsort(mixed, kind="stable")
+            own = order[spanning(len(known), number[a[order]], number[b[order]])]
+            held = np.stack([a[own], b[own]])
+            continue
+        order = np.lexsort((hi, lo))
+        lo, hi = lo[order], hi[order]
+        new = np.concatenate([[True], (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])])
+        yield pa.record_batch([pa.array(lo[new]), pa.array(hi[new])], ["a", "b"])
+    if held.size:
+        ends = np.sort(tid[held], axis=0)
+        yield pa.record_batch([pa.array(ends[0]), pa.array(ends[1])], ["a", "b"])
 
 
 def _bloom_places(ids: np.ndarray) -> list[np.ndarray]:

@@ -1,7 +1,11 @@
 import re
+import tracemalloc
+
+import numpy as np
 
 import corpus_pipeline
 from fragmap.llm import simhash
+from fragmap.llm.gray_index import spanning
 from test_operators import _brute_kept, _edited_copies
 
 
@@ -43,3 +47,24 @@ def test_near_copies_go_through_the_gray_index(spark, monkeypatch):
     assert sorted(r["doc_id"] for r in got.collect()) == _brute_kept(rows, 5, None)
     assert asked == [len({simhash.fingerprint(t, 5) for _, t in rows})]
     assert not any(x & y for i, x in enumerate(pairs) for y in pairs[:i])  # nothing that the index linked is verified twice
+
+
+def test_forest_of_a_large_group_is_a_tree_made_in_little_memory():
+    rng, n = np.random.default_rng(5), 1500
+    tid, fp, root = (rng.integers(-(2**62), 2**62, n) for _ in range(3))
+    hot = [np.zeros(n, np.int64), tid, fp, np.full(n, 90, np.int32), root, np.zeros(n, np.int32)]
+    for forest in (0, 1, None):
+        tracemalloc.start()
+        got = [b for b in simhash._candidates(hot, 0.8, None, forest)]
+        made = sum(b.nbytes for b in got)
+        most = tracemalloc.get_traced_memory()[1]
+        tracemalloc.stop()
+        links = {(r["a"], r["b"]) for b in got for r in b.to_pylist()}
+        assert most < 60e6 + made
+        if forest is None:
+            assert links == {(min(a, b), max(a, b)) for i, a in enumerate(tid.tolist()) for b in tid[:i].tolist()}
+        else:
+            assert len(links) == n - 1
+            number = {t: i for i, t in enumerate(tid.tolist())}
+            a, b = (np.array([number[x[i]] for x in links]) for i in (0, 1))
+            assert len(spanning(n, a, b)) == n - 1
