@@ -112,6 +112,8 @@ class PieceCodec:
         self.raw = [p.encode() for p in self.pieces]
         for b, i in enumerate(self.byte_ids):
             self.raw[i] = bytes([b])
+        self.width = np.array([len(r) for r in self.raw], np.int64)
+        self.exact = True  # every unit so far is what its pieces decode to
         self.pairs = _PairTable()
         self.cache: dict[str, bytes] = {}
 
@@ -141,30 +143,42 @@ class PieceCodec:
         ok[at] = known
         return ok
 
-    def _suffixes(self, text: np.ndarray) -> np.ndarray:
-        """Starts of suffixes sorted by their first ``longest`` characters, by doubling the sorted depth."""
-        n, depth = len(text), 3
-        padded = np.concatenate([text, np.zeros(2, np.int64)])
-        key = (padded[:n] << 42) | (padded[1 : n + 1] << 21) | padded[2 : n + 2]
-        while True:
-            order = np.argsort(key, kind="stable")
-            if depth >= self.longest:
-                return order
-            ordered = key[order]
+    def _suffixes(self, text: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray, int]:
+        """Starts of suffixes sorted by their first ``longest`` characters, by doubling the sorted depth; the sorted
+        keys of the first round, which hold as many characters of ``bits`` bits as a number takes, and that number of characters."""
+        n = len(text)
+        first = depth = max(1, min(63 // bits, self.longest))
+        padded = np.concatenate([text, np.zeros(depth, np.int64)])
+        key = np.zeros(n, np.int64)
+        for d in range(depth):
+            key = (key << bits) | padded[d : d + n]
+        order = np.argsort(key, kind="stable")
+        ordered = begun = key[order]
+        while depth < self.longest:
             rank = np.empty(n, np.int64)
             rank[order] = np.cumsum(np.concatenate([[1], ordered[1:] != ordered[:-1]]))
             further = np.zeros(n, np.int64)
             further[: max(n - depth, 0)] = rank[depth:]
             key = (rank << 32) | further
+            order = np.argsort(key, kind="stable")
+            ordered = key[order]
             depth *= 2
-
-    def _ranges(self, text: np.ndarray, order: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """The suffixes that begin with each piece: both bounds of all pieces are narrowed a character at a time."""
-        low, high = np.zeros(len(self.size), np.int64), np.full(len(self.size), len(order), np.int64)
+        return order, begun, first
+
+    def _ranges(self, text: np.ndarray, order: np.ndarray, codes: np.ndarray, bits: int, begun: np.ndarray, first: int) -> tuple[np.ndarray, np.ndarray]:
+        """The suffixes that begin with each piece: both bounds by its first characters' key, then narrowed a character at a time."""
+        low, high = np.zeros(len(self.size), np.int64), np.zeros(len(self.size), np.int64)
+        inside = np.flatnonzero((codes >= 0).all(axis=1))  # its characters occur
+        key = np.zeros(len(inside), np.int64)
+        for d in range(first):
+            key = (key << bits) | codes[inside, d]
+        open_bits = bits * np.maximum(first - self.size[inside].astype(np.int64), 0)
+        low[inside] = np.searchsorted(begun, key, "left")
+        high[inside] = np.searchsorted(begun, key | ((np.int64(1) << open_bits) - 1), "right")
         padded = np.concatenate([text, np.full(self.longest, -1, np.int64)])
-        for d in range(self.longest):
+        for d in range(first, self.longest):
             live = np.flatnonzero((self.size > d) & (low < high))
-            want = self.codes[live, d]
+            want = codes[live, d]
             bounds = []
             for above in (False, True):
                 a, b = low[live].copy(), high[live].copy()
@@ -188,18 +202,26 @@ class PieceCodec:
         begins = 1 + np.concatenate([[0], np.cumsum(sizes + 1)[:-1]])
         offset = np.zeros(len(text) + 1, np.int32)  # of a boundary in its unit
         offset[1 : len(text)] = np.arange(1, len(text)) - np.repeat(begins, sizes + 1)
-        order = self._suffixes(text)
-        low, high = self._ranges(text, order)
+        present = np.zeros(max(int(text.max()), int(self.codes.max(initial=0))) + 1, bool)
+        present[text] = True
+        place = np.where(present, np.cumsum(present) - 1, -1)  # characters numbered in order, 0 for the separator
+        dense, bits = place[text], max(1, (int(present.sum()) - 1).bit_length())
+        order, begun, first = self._suffixes(dense, bits)
+        low, high = self._ranges(dense, order, place[self.codes], bits, begun, first)
+        del begun
         count = high - low
         found = np.repeat(low - (np.cumsum(count) - count), count) + np.arange(int(count.sum()))
         start = order[found].astype(np.int32)
         size, token = np.repeat(self.size, count), np.repeat(self.number, count)
-        lone = np.flatnonzero(~np.isin(text, self.single) & (text != 0)).astype(np.int32)
+        held = np.isin(np.flatnonzero(present), self.single)
+        held[0] = True
+        lone = np.flatnonzero(~held[dense]).astype(np.int32)
         start = np.concatenate([start, lone])
         size, token = np.concatenate([size, np.ones(len(lone), np.int32)]), np.concatenate([token, np.full(len(lone), self.outside, np.int32)])
         del found, order
         end = start + size
-        sort = np.argsort(offset[start] + size, kind="stable")
+        steps = offset[start] + size
+        sort = np.argsort(steps.astype(np.uint16) if len(steps) and steps.max() < 1 << 16 else steps, kind="stable")  # two bytes are sorted by radix
         start, end, token = start[sort], end[sort], token[sort]
         steps = (offset[start] + (end - start)).astype(np.int64)
         last, back = np.full(len(text) + 1, -1, np.int32), np.zeros(len(text) + 1, np.int32)
@@ -225,16 +247,24 @@ class PieceCodec:
         if (tokens < 0).any():
             raise AssertionError("a unit has no encoding")
         cuts = np.searchsorted(places, begins + sizes, "right")
-        out, first = [], 0
-        outside = tokens == self.outside
-        for i, cut in enumerate(cuts.tolist()):
-            own = tokens[first:cut]
-            if outside[first:cut].any():
-                own = self._with_bytes(own, text, places[first:cut])
-            out.append(own.astype(np.int32).tobytes())
-            first = cut
+        data, bounds = tokens.astype(np.int32).tobytes(), [0, *(4 * cuts).tolist()]
+        out = [data[a:b] for a, b in zip(bounds[:-1], bounds[1:])]
+        for i in np.unique(np.searchsorted(cuts, np.flatnonzero(tokens == self.outside), "right")).tolist():
+            own = slice(bounds[i] // 4, bounds[i + 1] // 4)
+            out[i] = self._with_bytes(tokens[own], text, places[own]).tobytes()
+        self.exact = self.exact and self._return(units, out)
         return out
 
+    def _return(self, units: list[str], out: list[bytes]) -> bool:
+        """Whether every unit is what its pieces decode to; texts of such units are too, as units are whole characters."""
+        try:
+            want = [u.encode() for u in units]
+        except UnicodeEncodeError:
+            return False
+        ids, ends = np.frombuffer(b"".join(out), np.int32), np.cumsum([len(o) // 4 for o in out])
+        width = np.concatenate([[0], np.cumsum(self.width[ids])])[ends]
+        return bool((width == np.cumsum([len(w) for w in want])).all()) and b"".join(map(self.raw.__getitem__, ids.tolist())) == b"".join(want)
+
     def _with_bytes(self, tokens: np.ndarray, text: np.ndarray, ends: np.ndarray) -> np.ndarray:
         out: list[int] = []
         for t, end in zip(tokens.tolist(), ends.tolist()):
@@ -255,6 +285,7 @@ class PieceCodec:
         for i, u in enumerate(new):
             if "\0" in u:  # the separator of the index; such a unit is encoded around it
                 self.cache[u] = self._around_zero(u)
+                self.exact = False  # such texts are decoded whole
                 continue
             part.append(u)
             chars += len(u) + 1
@@ -319,7 +350,7 @@ def encode_documents(docs: DataFrame, text_col: str = "text", model: str = MODEL
             more = [
                 pa.array([len(c) for c in codes], pa.int64()),
                 pa.array([zlib.crc32(c.astype("<i4").tobytes()) for c in codes], pa.int64()),
-                pa.array([own.decode(c) == (t or "").replace(SPACE, " ") for c, t in zip(codes, texts[a:b])], pa.bool_()),
+                pa.array([own.exact or own.decode(c) == (t or "").replace(SPACE, " ") for c, t in zip(codes, texts[a:b])], pa.bool_()),
             ]
             if ids:
                 more.append(pa.array(codes, pa.list_(pa.int32())))

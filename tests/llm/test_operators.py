@@ -441,3 +441,23 @@ def test_sharding_query_equals_plain_loops(spark, sf):
         assert r["grown_shard"] in (r["shard"], 24)
         slots.setdefault(r["shard"], []).append(r["slot"])
     assert all(sorted(s) == list(range(len(s))) for s in slots.values())
+
+
+def test_distinct_units_are_decoded_once_and_a_lost_one_is_seen():
+    import public_tokenizers
+
+    own = pieces.PieceCodec(public_tokenizers.path(pieces.MODEL))
+    texts = ["a  b\n\nc", "日本語 \U0001f600 é", "▁ x", "", None, " y" * 400]
+    got = own.encode(texts)
+    assert own.exact and [own.decode(c) for c in got] == [(t or "").replace(pieces.SPACE, " ") for t in texts]
+    own.encode(["a\ud800b"])
+    assert not own.exact
+    rounds = []
+    own = pieces.PieceCodec(public_tokenizers.path(pieces.MODEL))
+    search = np.argsort
+    try:
+        np.argsort = lambda *a, **k: rounds.append(a[0].dtype) or search(*a, **k)
+        own.encode_units(["▁plain", "▁words", "▁again"])
+    finally:
+        np.argsort = search
+    assert len([k for k in rounds if k == np.int64]) == 2  # sixteen characters in two rounds: few kinds of characters, many to a key
