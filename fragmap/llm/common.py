@@ -6,7 +6,7 @@ import ctypes
 import gc
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -17,6 +17,10 @@ _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 SPACES = " \t\n\x0b\x0c\r"
 SPACE_CLASS = r"[\x20\x09-\x0D]"
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
+ROWS = 1000
+#: Of this process: the operator whose tasks it runs, and how each operator lets go of what it keeps between tasks.
+_running: list[str] = []
+_kept: dict[str, Callable[[], None]] = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -97,8 +101,31 @@ def discard(df: DataFrame) -> None:
         remove_path(df.sparkSession, folder)
 
 
+def keep(operator: str, let_go: Callable[[], None]) -> None:
+    """Says how to let go of what ``operator`` keeps in this process from task to task."""
+    _kept[operator] = let_go
+
+
+def begin(operator: str) -> None:
+    """The first step of a task. Spark uses a Python worker again for other operators: what
+    those keep in it goes, and what they freed goes back to the system."""
+    if _running != [operator]:
+        _running[:] = [operator]
+        for other in [o for o in _kept if o != operator]:
+            _kept.pop(other)()
+        release()
+
+
+def sliced(operator: str, batches: Iterator[pa.RecordBatch], rows: int = ROWS) -> Iterator[pa.RecordBatch]:
+    """``begin``, and the batches in parts of at most ``rows`` rows, so that what is made of them at once is small."""
+    begin(operator)
+    for batch in batches:
+        for first in range(0, max(batch.num_rows, 1), rows):
+            yield batch.slice(first, rows)
+
+
 def release() -> None:
-    """Gives memory that the driver's Python no longer uses back to the system."""
+    """Gives memory that this Python process no longer uses back to the system."""
     gc.collect()
     pa.default_memory_pool().release_unused()
     trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc alone has it

@@ -271,7 +271,7 @@ def drop_leaking(docs: DataFrame, benchmark: DataFrame, text_col: str = "text",
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             own = shared.value
-            for batch in batches:
+            for batch in common.sliced("decontamination", batches):
                 yield batch.filter(pa.array([not own.leaks(t.as_py()) for t in batch.column(at)], pa.bool_()))
 
         docs = docs.mapInArrow(run, docs.schema)

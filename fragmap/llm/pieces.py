@@ -276,8 +276,11 @@ class PieceCodec:
 
     def encode(self, texts: list[str | None]) -> list[np.ndarray]:
         """Piece numbers of each text of one group."""
-        cut = [_UNIT.findall(SPACE + t.replace(" ", SPACE)) if t else [] for t in texts]
-        new = set().union(*cut) if cut else set()
+        new: dict[str, str] = {}  # one string for each distinct unit
+        cut = []
+        for t in texts:
+            units = _UNIT.findall(SPACE + t.replace(" ", SPACE)) if t else []
+            cut.append(list(map(new.setdefault, units, units)))
         if len(self.cache) + len(new) > CACHE_UNITS:
             self.cache = {u: self.cache[u] for u in new if u in self.cache}
         new = [u for u in new if u not in self.cache]
@@ -315,18 +318,24 @@ def codec(model: str) -> PieceCodec:
         import public_tokenizers
 
         model = public_tokenizers.path(model)
+    common.keep("pieces", codec.cache_clear)
     return PieceCodec(model)
 
 
-def _groups(texts: list[str | None]) -> Iterator[tuple[int, int]]:
-    first, chars = 0, 0
-    for i, t in enumerate(texts):
-        chars += len(t or "")
-        if chars >= GROUP_CHARS:
-            yield first, i + 1
-            first, chars = i + 1, 0
-    if first < len(texts):
-        yield first, len(texts)
+def _groups(batches: Iterator[pa.RecordBatch], at: int) -> Iterator[pa.Table]:
+    """The rows in tables of just over ``GROUP_CHARS`` characters in column ``at``."""
+    held, size = [], 0
+    for batch in batches:
+        first = 0
+        for i, n in enumerate(pc.utf8_length(batch.column(at)).to_pylist()):
+            size += n or 0
+            if size >= GROUP_CHARS:
+                yield pa.Table.from_batches([*held, batch.slice(first, i + 1 - first)]).combine_chunks()
+                held, size, first = [], 0, i + 1
+        if first < batch.num_rows:
+            held.append(batch.slice(first))
+    if held:
+        yield pa.Table.from_batches(held).combine_chunks()
 
 
 def encode_documents(docs: DataFrame, text_col: str = "text", model: str = MODEL, ids: bool = True) -> DataFrame:
@@ -339,34 +348,23 @@ def encode_documents(docs: DataFrame, text_col: str = "text", model: str = MODEL
     names = docs.columns
     at = names.index(text_col)
 
-    def finish(batches: list[pa.RecordBatch], own: PieceCodec) -> Iterator[pa.RecordBatch]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zlib
 
-        table = pa.Table.from_batches(batches).combine_chunks()
-        texts = table.column(at).to_pylist()
-        for a, b in _groups(texts):
-            codes = own.encode(texts[a:b])
-            part = table.slice(a, b - a)
+        common.begin("pieces")
+        own = codec(model)
+        for part in _groups(batches, at):
+            texts = part.column(at).to_pylist()
+            codes = own.encode(texts)
             more = [
                 pa.array([len(c) for c in codes], pa.int64()),
                 pa.array([zlib.crc32(c.astype("<i4").tobytes()) for c in codes], pa.int64()),
-                pa.array([own.exact or own.decode(c) == (t or "").replace(SPACE, " ") for c, t in zip(codes, texts[a:b])], pa.bool_()),
+                pa.array([own.exact or own.decode(c) == (t or "").replace(SPACE, " ") for c, t in zip(codes, texts)], pa.bool_()),
             ]
             if ids:
                 more.append(pa.array(codes, pa.list_(pa.int32())))
             yield from pa.Table.from_arrays([*part.columns, *more], [*names, *added]).combine_chunks().to_batches(max_chunksize=2000)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, held, size = codec(model), [], 0
-        for batch in batches:
-            held.append(batch)
-            size += pc.sum(pc.utf8_length(batch.column(at))).as_py() or 0
-            if size >= GROUP_CHARS:
-                yield from finish(held, own)
-                held, size = [], 0
-        if held:
-            yield from finish(held, own)
-
     kinds = [f"`{n}` {k}" for n, k in docs.dtypes]
     schema = ", ".join([*kinds, "n_pieces bigint, pieces_crc32 bigint, round_trip boolean", *["pieces array<int>"] * ids])
     return docs.mapInArrow(run, schema)
@@ -379,6 +377,7 @@ def decode_documents(docs: DataFrame, pieces_col: str = "pieces", model: str = M
     at = names.index(pieces_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.begin("pieces")
         own = codec(model)
         for batch in batches:
             texts = [own.decode(np.array(p.as_py() or [], np.int32)) for p in batch.column(at)]

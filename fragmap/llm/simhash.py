@@ -118,6 +118,7 @@ def link_edges(codes: DataFrame, n: int, max_diff: int = MAX_DIFF, group: int =
     parts = max(int(codes.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.begin("simhash")
         tail_task, tail_fp = np.empty(0, np.int64), np.empty(0, np.int64)
         for batch in batches:
             task = np.concatenate([tail_task, batch.column("task").to_numpy(zero_copy_only=False)])
@@ -189,7 +190,7 @@ def frequent_shingles(texts: DataFrame, shingle: int) -> tuple[np.ndarray, np.nd
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in common.sliced("simhash", batches):
             sets = [shingle_set(t.as_py(), shingle) for t in batch.column(0)]
             yield pa.record_batch([pa.array(np.concatenate(sets).view(np.int64) if sets else np.empty(0, np.int64))], ["h"])
 
@@ -211,7 +212,7 @@ def prefixes(texts: DataFrame, often: np.ndarray, shingle: int, similarity: floa
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         often = shared.value
-        for batch in batches:
+        for batch in common.sliced("simhash", batches):
             codes, sizes, firsts, maps = [], [], [], []
             for t in batch.column("text"):
                 hashes = shingle_hashes(t.as_py(), shingle)
@@ -224,7 +225,7 @@ def prefixes(texts: DataFrame, often: np.ndarray, shingle: int, similarity: floa
                 if len(often) and len(own):
                     late = often[np.minimum(np.searchsorted(often, own), len(often) - 1)] == own
                     own = np.concatenate([own[~late], own[late]])
-                firsts.append((own[: prefix_size(len(own), similarity)] if len(own) else np.zeros(1, np.uint64)).view(np.int64))
+                firsts.append((own[: prefix_size(len(own), similarity)].copy() if len(own) else np.zeros(1, np.uint64)).view(np.int64))
             yield pa.record_batch(
                 [batch.column("doc"), batch.column("tid"), pa.array(np.array(codes, np.uint64).view(np.int64)), pa.array(sizes, pa.int32()), pa.array(firsts, pa.list_(pa.int64())), pa.array(maps, pa.list_(pa.int64()))],
                 ["doc", "tid", "fp", "size", "prefix", "bitmap"],
@@ -245,7 +246,8 @@ def candidate_pairs(
     spark = texts.sparkSession
     keyed = texts.select("tid", "fp", "size", "root", F.posexplode("prefix").alias("pos", "h"))
     many = counts > group
-    blocks = spark.createDataFrame(list(zip(often[many].view(np.int64).tolist(), (-(-counts[many] // group)).tolist())), "h bigint, blocks int")
+    # an Arrow table: rows of Python would start workers of another kind on the executors
+    blocks = spark.createDataFrame(pa.table({"h": pa.array(often[many].view(np.int64), pa.int64()), "blocks": pa.array(-(-counts[many] // group), pa.int32())}))
     own = F.pmod(F.xxhash64("tid"), F.col("blocks")).cast("int")
     cut = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda o: F.xxhash64("h", F.least(o, own), F.greatest(o, own)))
     tasks = keyed.join(F.broadcast(blocks), "h", "left").select(
@@ -255,6 +257,7 @@ def candidate_pairs(
     names = ["task", "tid", "fp", "size", "root", "pos"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.begin("simhash")
         tail = None
         for batch in batches:
             cols = [batch.column(c).to_numpy(zero_copy_only=False) for c in names]
@@ -324,6 +327,7 @@ def bloom_words(ids: DataFrame) -> np.ndarray:
     """A Bloom filter over ``tid``: 2 ** BLOOM_BITS bits whatever the number of ids, put together by partial aggregation."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        common.begin("simhash")
         for batch in batches:
             at = np.concatenate(_bloom_places(batch.column(0).to_numpy(zero_copy_only=False)))
             yield pa.record_batch([pa.array(at >> 6), pa.array(np.left_shift(np.uint64(1), (at & 63).astype(np.uint64)).view(np.int64))], ["word", "bits"])
@@ -344,7 +348,7 @@ def shingle_sets(texts: DataFrame, asked: DataFrame, shingle: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = shared.value
-        for batch in batches:
+        for batch in common.sliced("simhash", batches):
             hit = np.ones(batch.num_rows, bool)
             for at in _bloom_places(batch.column("tid").to_numpy(zero_copy_only=False)):
                 hit &= ((words[at >> 6] >> (at & 63).astype(np.uint64)) & np.uint64(1)).astype(bool)

@@ -165,7 +165,7 @@ def score_toxicity(docs: DataFrame, model: tuple[np.ndarray, float], text_col: s
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         values = _WordValues(shared.value)
-        for batch in batches:
+        for batch in common.sliced("toxicity", batches):
             out = []
             for text in batch.column(at):
                 text = text.as_py()

@@ -1,10 +1,12 @@
 import re
 import tracemalloc
+import weakref
 
 import numpy as np
+import pyarrow as pa
 
 import corpus_pipeline
-from fragmap.llm import simhash
+from fragmap.llm import common, pieces, simhash
 from fragmap.llm.gray_index import spanning
 from test_operators import _brute_kept, _edited_copies
 
@@ -68,3 +70,34 @@ def test_forest_of_a_large_group_is_a_tree_made_in_little_memory():
             number = {t: i for i, t in enumerate(tid.tolist())}
             a, b = (np.array([number[x[i]] for x in links]) for i in (0, 1))
             assert len(spanning(n, a, b)) == n - 1
+
+
+class _Here:
+    """A frame whose Arrow function runs at once in this process, as a task in a reused worker does."""
+
+    def __init__(self, spark, batches):
+        self.sparkSession, self.batches = spark, batches
+
+    def mapInArrow(self, run, schema):
+        return list(run(iter(self.batches)))
+
+
+def test_near_copy_stage_lets_go_of_what_another_stage_kept_in_its_worker(spark):
+    common.begin("pieces")
+    own = weakref.ref(pieces.codec(pieces.MODEL))
+    common.begin("pieces")  # the next task of that stage uses it again
+    assert own() is not None and own() is pieces.codec(pieces.MODEL)
+    n = 2500
+    batch = pa.record_batch([pa.array(range(n)), pa.array(range(n)), pa.array([f"one two three four five {i}" for i in range(n)])], ["doc", "tid", "text"])
+    got = simhash.prefixes(_Here(spark, [batch]), np.empty(0, np.uint64), 5, 0.8)
+    assert own() is None
+    assert sum(b.num_rows for b in got) == n and max(b.num_rows for b in got) <= common.ROWS
+    assert [x for b in got for x in b["doc"].to_pylist()] == list(range(n))
+
+
+def test_groups_of_pieces_hold_each_row_once(monkeypatch):
+    monkeypatch.setattr(pieces, "GROUP_CHARS", 10)
+    texts = ["abc", None, "defghijklmno", "", "p", "qrstuvwxy", "z"]
+    batches = [pa.record_batch([pa.array(texts[a:b], pa.string())], ["text"]) for a, b in ((0, 2), (2, 2), (2, 6), (6, 7))]
+    assert [t.column(0).to_pylist() for t in pieces._groups(iter(batches), 0)] == [texts[:3], texts[3:6], texts[6:]]
+    assert list(pieces._groups(iter([]), 0)) == []
