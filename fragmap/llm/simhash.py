@@ -437,8 +437,7 @@ def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_dif
 
     named = lambda df: df.join(roots.withColumnRenamed("node", "tid"), "tid", "left").withColumn("root", F.coalesce("root", "tid"))
     seen = common.checkpoint(indexed_pairs(texts, MAX_DIFF if max_diff is None else min(MAX_DIFF, max_diff)))
-    links = common.checkpoint(verified(seen))
-    roots = common.checkpoint(connected_components(links, "a", "b"))
+    roots = common.checkpoint(connected_components(verified(seen), "a", "b"))
     live = named(texts)
     for step in range(FORESTS + 1):
         free()
@@ -448,8 +447,8 @@ def similar_components(keyed: DataFrame, nodes: DataFrame, shingle: int, max_dif
         if step == 0:  # a component without a candidate now has none later
             every, texts = texts, common.stored(live.join(named(ends).select("root").distinct(), "root", "left_semi").drop("root"), "simhash-linked")
             common.discard(every)
-        links = common.checkpoint(links.unionByName(verified(found.join(seen, ["a", "b"], "left_anti"))))
-        roots = common.checkpoint(connected_components(links, "a", "b"))
+        links = verified(found.join(seen, ["a", "b"], "left_anti"))
+        roots = common.checkpoint(connected_components(links.unionByName(roots.toDF("a", "b")), "a", "b"))
         if step == FORESTS or found.isEmpty():
             break
         seen = seen.unionByName(found)

@@ -7,6 +7,7 @@ import pyarrow as pa
 
 import corpus_pipeline
 from fragmap.llm import common, pieces, simhash
+from fragmap.llm.components import connected_components
 from fragmap.llm.gray_index import spanning
 from test_operators import _brute_kept, _edited_copies
 
@@ -72,6 +73,27 @@ def test_forest_of_a_large_group_is_a_tree_made_in_little_memory():
             assert len(spanning(n, a, b)) == n - 1
 
 
+def test_components_of_few_edges_take_no_rounds(spark, monkeypatch):
+    rng, saved = np.random.default_rng(11), []
+    own = common.checkpoint
+    monkeypatch.setattr(common, "checkpoint", lambda df: saved.append(1) or own(df))
+    nodes = rng.integers(-(2**62), 2**62, 400).tolist()
+    edges = [*zip(nodes[:150], nodes[1:151]), *[(nodes[200], x) for x in nodes[200:300]], *zip(nodes[300:399:2], nodes[301:400:2])]
+    edges += [edges[0], edges[0][::-1], (None, nodes[0]), (7, 7)]
+    least = {x: x for e in edges for x in e if x is not None and x != 7}
+    for _ in range(400):
+        for a, b in edges:
+            if a in least and b in least:
+                least[a] = least[b] = min(least[a], least[b])
+    df = spark.createDataFrame(edges, "a bigint, b bigint").repartition(4).persist()
+    got = connected_components(df, "a", "b").collect()
+    assert len(saved) == 1
+    assert len(got) == len(least) and {r["node"]: r["root"] for r in got} == least
+    more = connected_components(df, "a", "b", at_once=0).collect()  # more edges than one task takes
+    assert len(saved) > 3 and sorted(more) == sorted(got)
+    assert connected_components(df.where("a = 7"), "a", "b").count() == 0
+
+
 class _Here:
     """A frame whose Arrow function runs at once in this process, as a task in a reused worker does."""
 
